@@ -5,10 +5,23 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from twoview.llm.base import table
 
 
+def _remainder(n: int) -> F.Column:
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
+
+
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from twoview.llm.toxicity import toxicity
+
+    known = table(spark, sf_dir, "labels").where(_remainder(4) != 2)
+    out = toxicity(table(spark, sf_dir, "documents"), known)
+    return out.select("doc_id", F.coalesce(_remainder(4) == 2, F.lit(False)).alias("held_out"), "score", "predicted")
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from twoview.llm.quality_rules import quality_rules
 
@@ -16,8 +29,27 @@ def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "score")
 
 
+def op6_quality_grades(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Grades: 0 for labelled low quality, 1 for good but toxic, 2 for good and clean."""
+    from twoview.llm.grading import quality_grades
+
+    labels = table(spark, sf_dir, "labels")
+    ratings = labels.select("doc_id", F.when(F.col("quality") <= 0, 0).when(F.col("toxic") > 0, 1).otherwise(2).alias("grade"))
+    return quality_grades(table(spark, sf_dir, "documents"), ratings)
+
+
+def op10_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from twoview.llm.private_data import private_data
+
+    out = private_data(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_id")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_toxicity": op1_toxicity,
     "op4_quality_rules": op4_quality_rules,
+    "op6_quality_grades": op6_quality_grades,
+    "op10_private_data": op10_private_data,
 }
 
 SQL: dict[str, str] = {}
