@@ -38,6 +38,12 @@ def op6_quality_grades(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_grades(table(spark, sf_dir, "documents"), ratings)
 
 
+def op9_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from twoview.llm.ngram_join import ngram_components
+
+    return ngram_components(table(spark, sf_dir, "documents"))
+
+
 def op10_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     from twoview.llm.private_data import private_data
 
@@ -49,6 +55,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
     "op4_quality_rules": op4_quality_rules,
     "op6_quality_grades": op6_quality_grades,
+    "op9_ngram_join": op9_ngram_join,
     "op10_private_data": op10_private_data,
 }
 
