@@ -77,9 +77,17 @@ def test_tree_matches_direct_overlap():
     for _ in range(40):
         base = np.sort(rng.choice(500, 60, replace=False)).astype(np.int64)
         sets = [np.unique(np.where(rng.random(60) < rng.random() * 0.4, rng.integers(0, 500, 60), base)) for _ in range(30)]
-        probe = sets[0]
-        want = sorted(i for i, s in enumerate(sets) if 7 * len(np.intersect1d(s, probe)) >= 3 * (len(s) + len(probe)))
-        assert sorted(J.PrefixTree(sets).linked(probe)) == want
+        link = lambda a, b: 7 * len(np.intersect1d(a, b)) >= 3 * (len(a) + len(b))
+        want = {(i, j) for i, a in enumerate(sets) for j, b in enumerate(sets[:9]) if link(a, b)}
+        got = {(t, int(j)) for t, who in J.PrefixTree(sets).linked(sets[:9], cells=rng.integers(1, 9999)) for j in who}
+        assert got == want
+
+
+def test_blocks_against_blocks(spark, monkeypatch):
+    monkeypatch.setattr(J, "BLOCK", 150)
+    rows = corpus(3)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(map(tuple, J.ngram_components(docs, common=3).collect())) == brute(rows)
 
 
 def test_long_chain_is_one_component(spark):

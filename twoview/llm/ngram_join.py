@@ -1,14 +1,16 @@
 """Similarity join of documents by the Jaccard similarity of their word n-gram sets, and its components.
 
 Sets are ordered by one global order: shingles common to many documents last, the rest by hash. Two sets that link
-share a shingle among the first few of each (the prefix), so only prefixes are dealt out. A prefix-tree of the
-candidates of one document is walked with that document's set: candidates share the overlap of their common
-start, and a subtree goes once the lengths that remain can't reach the overlap needed.
+share several shingles among the first of each (the prefix), so only prefixes are dealt out, and a document whose
+prefix holds too few shingles of others is out. A prefix-tree of the
+candidates is walked with many sets at a time: candidates share the overlaps of their common
+start, and a subtree goes once the lengths that remain can't reach the overlaps needed.
 
-No group of documents with a common shingle is paired with itself. First each member meets one other (the
-group's first), which already joins large groups of near copies; then, in groups that still hold several
-components, members outside the first one's component meet the members of other components. A pair within one
-component can't change it. Equal sets are one class throughout. So no link between components is lost.
+The documents with a shingle of their prefixes in common are put under the first of them. All who stand under one
+document are joined by tree, in blocks of bounded size; large groups are blocks against blocks. What a
+block sends back is no list of pairs but at most one link for each document, enough to join what is linked.
+Equal sets are one class throughout. Any two sets that link share a prefix shingle, so they stand under one document
+and meet: no link between components is lost.
 
 Shingles are 62-bit hashes; classes are 64-bit sums over sets, so that different ones agree by chance about
 once in 2**62 pairs. Memory: bit maps of a fixed size are sent out, which let surplus rows
@@ -27,6 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,18 +40,29 @@ from twoview.llm.text import Chunk, column_chunks, mix, shingle_sets
 NUM, DEN = 3, 4  # the similarity from which documents link
 COMMON = np.int64(1 << 62)
 SLOTS = 26
+BLOCK = 400_000  # shingles
 
 
 def _ceil(a: np.ndarray | int, b: int) -> np.ndarray | int:
     return -(-a // b)
 
 
+def level(n: np.ndarray) -> np.ndarray:
+    """How many common shingles the prefixes of a set of n and of its partners are to show: more than a quoted passage has there."""
+    return np.maximum(1, n // 10)
+
+
 def prefix_length(n: np.ndarray) -> np.ndarray:
-    """How many first shingles of a set of n must hold one of any set that it links with."""
-    return np.where(n > 0, n - _ceil(NUM * n, DEN) + 1, 0)
+    """How many first shingles of a set of n must hold level(n) of the first ones that it shares with any set that it links with."""
+    return np.where(n > 0, np.minimum(n, n - _ceil(NUM * n, DEN) + level(n)), 0)
+
 
+def least_hits(n: np.ndarray) -> np.ndarray:
+    """How many shingles that others have too the prefix of a set of n holds if it links with any: the level of its smallest partner."""
+    return level(_ceil(NUM * n, DEN))
 
-def needed(n_a: int, n_b: int) -> int:
+
+def needed(n_a: np.ndarray | int, n_b: np.ndarray | int) -> np.ndarray | int:
     """The least overlap of linked sets of n_a and n_b shingles."""
     return _ceil(NUM * (n_a + n_b), NUM + DEN)
 
@@ -116,55 +130,119 @@ class PrefixTree:
             m = min(len(a), len(b))
             same = a[:m] == b[:m]
             self.shared[i] = m if same.all() else int(np.argmin(same))
-
-    def linked(self, probe: np.ndarray) -> list[int]:
-        """Which sets, by their place in the given list, link with the probe."""
-        out = []
-        todo = [(0, len(self.sets), 0, 0)]
+        self.tokens, at = np.unique(np.concatenate(self.sets), return_inverse=True)
+        self.at = np.split(at, np.cumsum(self.sizes)[:-1])
+
+    def linked(self, probes: list[np.ndarray], cells: int = 1 << 23) -> Iterator[tuple[int, np.ndarray]]:
+        """For each set of the tree that links with any, its place in the given list and the probes' places."""
+        step = int(np.clip(cells // max(len(self.tokens), 1), 8, 256))
+        for base in range(0, len(probes), step):
+            for place, who in self._walk(probes[base : base + step]):
+                yield place, who + base
+
+    def _walk(self, probes: list[np.ndarray]) -> Iterator[tuple[int, np.ndarray]]:
+        flat = np.concatenate(probes)
+        size = np.array([len(p) for p in probes])
+        who = np.repeat(np.arange(len(probes)), size)
+        at = np.minimum(np.searchsorted(self.tokens, flat), len(self.tokens) - 1)
+        hit = self.tokens[at] == flat
+        has = np.zeros((len(self.tokens), len(probes)), np.uint8)
+        has[at[hit], who[hit]] = 1
+        upto_token = np.cumsum(has, axis=0, dtype=np.int32)
+        total = upto_token[-1]
+        todo = [(0, len(self.sets), 0, np.arange(len(probes)), np.zeros(len(probes), np.int64))]
         while todo:
-            lo, hi, depth, overlap = todo.pop()
+            lo, hi, depth, alive, overlap = todo.pop()
             least, most = int(self.sizes[lo:hi].min()), int(self.sizes[lo:hi].max())
-            first = self.sets[lo]
-            upto = len(first) if hi - lo == 1 else int(self.shared[lo + 1 : hi].min())
-            run = first[depth:upto]
-            if len(run):
-                at = np.minimum(np.searchsorted(probe, run), len(probe) - 1)
-                overlap += int((probe[at] == run).sum())
-                left = len(probe) - int(np.searchsorted(probe, run[-1], "right"))
-            else:
-                left = len(probe) - (int(np.searchsorted(probe, first[depth - 1], "right")) if depth else 0)
-            if overlap + min(left, most - upto) < needed(len(probe), least):
+            first = self.at[lo]
+            end = len(first) if hi - lo == 1 else int(self.shared[lo + 1 : hi].min())
+            if end > depth:
+                overlap = overlap + has[first[depth:end]][:, alive].sum(0, dtype=np.int64)
+            left = total[alive] - (upto_token[first[end - 1], alive] if end else 0)
+            able = overlap + np.minimum(left, most - end) >= needed(size[alive], least)
+            if not able.any():
                 continue
+            alive, overlap = alive[able], overlap[able]
             if hi - lo == 1:
-                if (NUM + DEN) * overlap >= NUM * (len(probe) + least):
-                    out.append(self.order[lo])
+                good = (NUM + DEN) * overlap >= NUM * (size[alive] + least)
+                if good.any():
+                    yield self.order[lo], alive[good]
                 continue
-            cuts = [lo, *(lo + 1 + np.flatnonzero(self.shared[lo + 1 : hi] == upto)).tolist(), hi]
+            cuts = [lo, *(lo + 1 + np.flatnonzero(self.shared[lo + 1 : hi] == end)).tolist(), hi]
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                todo.append((a, b, upto, overlap))
-        return out
+                todo.append((a, b, end, alive, overlap))
+
+
+def joined(names: list[int], sets: list[np.ndarray], left: list[int], right: list[int]) -> list[tuple[int, int]]:
+    """Links (name, name) that join all that is linked between the sets at two lists of places, at most one a set."""
+    label = np.arange(len(sets))
+    probes = [sets[i] for i in left]
+    places = np.array(left)
+    for t, who in PrefixTree([sets[i] for i in right]).linked(probes):
+        old = np.unique(label[np.append(places[who], right[t])])
+        if len(old) > 1:
+            label[np.isin(label, old[1:])] = old[0]
+    return [(names[label[i]], names[i]) for i in range(len(sets)) if label[i] != i and names[label[i]] != names[i]]
+
+
+def _ordered(chunk: Chunk, size: int, order: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """_sets with each set in the global order: common shingles (order, ascending) get a high bit and so come last."""
+    bounds, tokens, n, cls = _sets(chunk, size)
+    if len(order):
+        at = np.minimum(np.searchsorted(order, tokens), len(order) - 1)
+        tokens = np.where(order[at] == tokens, tokens | COMMON, tokens)
+        tokens = tokens[np.lexsort((tokens, np.repeat(np.arange(chunk.n), n)))]
+    return bounds, tokens, n, cls
+
+
+def _verify(batches: Iterator[pa.RecordBatch], size: int, order: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Of rows (a, i, j, block, cls, text), those of one (a, i, j) together, the links between blocks i and j under a."""
+    key, names, blocks, sets = None, [], [], []
 
+    def settle() -> pa.RecordBatch:
+        _, i, j = key
+        left, right = ([k for k, b in enumerate(blocks) if b == x] for x in (i, j))
+        good = joined(names, sets, left, right) if left and right and len(sets) > 1 else []
+        return pa.RecordBatch.from_arrays([pa.array([x for x, _ in good], pa.int64()), pa.array([y for _, y in good], pa.int64())], names=["a", "b"])
 
-def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of rows (a, b, set_a, set_b), the pairs that link; rows of one a next to each other share a tree."""
     for batch in batches:
-        a, b = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-        sets = []
-        for k in (2, 3):
-            column = batch.column(k)
-            off, values = column.offsets.to_numpy(), column.values.to_numpy()
-            sets.append([values[off[i] : off[i + 1]] for i in range(len(column))])
-        starts = np.flatnonzero(np.append(True, a[1:] != a[:-1])) if len(a) else np.zeros(0, int)
-        keep = [lo + i for lo, hi in zip(starts.tolist(), [*starts[1:].tolist(), len(a)], strict=True) for i in PrefixTree(sets[1][lo:hi]).linked(sets[0][lo])]
-        yield pa.RecordBatch.from_arrays([pa.array(a[keep], pa.int64()), pa.array(b[keep], pa.int64())], names=["a", "b"])
+        keys = list(zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True))
+        own, wanted = batch.column(3).to_pylist(), batch.column(4).to_pylist()
+        for chunk in column_chunks(batch.column(5)):
+            bounds, tokens, _, cls = _ordered(chunk, size, order)
+            for i in range(chunk.n):
+                r = chunk.row0 + i
+                if cls[i] != wanted[r]:
+                    continue  # another text of the same id
+                if keys[r] != key:
+                    if names:
+                        yield settle()
+                    key, names, blocks, sets = keys[r], [], [], []
+                names.append(wanted[r])
+                blocks.append(own[r])
+                sets.append(tokens[bounds[i] : bounds[i + 1]].copy())
+    if names:
+        yield settle()
+
+
+def _linked(members: DataFrame, source: DataFrame, ids: DataFrame, size: int, order: Broadcast) -> DataFrame:
+    """Links (a, b) among the members (a, cls, n) of each a; ids (cls, doc_id) has a document of each class.
+
+    Texts travel, being smaller than their sets. A group of B blocks sends each text to B pairs of blocks.
+    """
+    groups = members.groupBy("a").agg(F.ceil(F.sum("n") / BLOCK).alias("parts"), F.count("*").alias("many")).where("many > 1").drop("many")
+    own = F.pmod(F.xxhash64("cls"), F.col("parts"))
+    dealt = members.join(groups, "a").select("a", "cls", own.alias("block"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)).alias("other"))
+    asked = dealt.join(ids, "cls").select("doc_id", "cls", "a", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block").checkpoint()
+    chosen = source.sparkSession.sparkContext.broadcast(BitMap.of(asked, "doc_id"))
 
+    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(chosen.value.has(batch.column(0).to_numpy())))
 
-def _linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """Of distinct pairs (a, b) of classes, those whose sets link."""
-    left = sets.select(F.col("cls").alias("a"), F.col("set").alias("set_a"))
-    right = sets.select(F.col("cls").alias("b"), F.col("set").alias("set_b"))
-    full = pairs.join(right, "b").join(left, "a").select("a", "b", "set_a", "set_b")
-    return full.mapInArrow(_verify, "a bigint, b bigint").checkpoint()
+    texts = source.where(F.col("doc_id").isNotNull()).mapInArrow(pick, "doc_id bigint, text string").join(asked, "doc_id")
+    rows = texts.repartition("a", "i", "j").sortWithinPartitions("a", "i", "j").select("a", "i", "j", "block", "cls", "text")
+    return rows.mapInArrow(lambda batches: _verify(batches, size, order.value), "a bigint, b bigint").distinct().checkpoint()
 
 
 def _free(spark) -> None:
@@ -211,15 +289,15 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
 
     def touched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, cls, prefix = batch.column(0), batch.column(1), batch.column(2)
+            ids, cls, n, prefix = (batch.column(i) for i in range(4))
             off = prefix.offsets.to_numpy()
             hit = np.append(0, np.cumsum(tokens_map.value.has(prefix.values.to_numpy()[off[0] : off[-1]])))
-            rows = pa.array(np.flatnonzero(hit[off[1:] - off[0]] > hit[off[:-1] - off[0]]))
+            rows = pa.array(np.flatnonzero(hit[off[1:] - off[0]] - hit[off[:-1] - off[0]] >= least_hits(n.to_numpy())))
             yield pa.RecordBatch.from_arrays([ids.take(rows), cls.take(rows)], names=["doc_id", "cls"])
 
     active = (
-        sets.where(F.col("doc_id").isNotNull())
-        .select("doc_id", "cls", "prefix")
+        sets.where(F.col("doc_id").isNotNull() & (F.col("n") > 0))
+        .select("doc_id", "cls", "n", "prefix")
         .mapInArrow(touched, "doc_id bigint, cls bigint")
         .groupBy("cls")
         .agg(F.min("doc_id").alias("doc_id"))
@@ -227,50 +305,41 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
     )
     ids_map = spark.sparkContext.broadcast(BitMap.of(active, "doc_id"))
 
+    chosen = spark.sparkContext.broadcast(BitMap.of(active, "doc_id"))
+
     def second_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            batch = batch.filter(pa.array(ids_map.value.has(batch.column(0).to_numpy())))
+            batch = batch.filter(pa.array(chosen.value.has(batch.column(0).to_numpy())))
             for chunk in column_chunks(batch.column(1)):
-                bounds, tokens, n, cls = _sets(chunk, size)
-                if len(order.value):
-                    at = np.minimum(np.searchsorted(order.value, tokens), len(order.value) - 1)
-                    tokens = np.where(order.value[at] == tokens, tokens | COMMON, tokens)
-                    tokens = tokens[np.lexsort((tokens, np.repeat(np.arange(chunk.n), n)))]
-                ids = batch.column(0).slice(chunk.row0, chunk.n)
-                yield pa.RecordBatch.from_arrays([ids, pa.array(cls), _lists(tokens, bounds, n)], names=["doc_id", "cls", "set"])
+                bounds, tokens, n, cls = _ordered(chunk, size, order.value)
+                yield pa.RecordBatch.from_arrays([pa.array(cls), pa.array(n), _lists(tokens, bounds, prefix_length(n))], names=["cls", "n", "set"])
 
-    whole = source.where(F.col("doc_id").isNotNull()).mapInArrow(second_pass, "doc_id bigint, cls bigint, `set` array<bigint>")
-    members = written(whole.join(active, ["cls", "doc_id"]).select("cls", "set"), "members", **{"parquet.enable.dictionary": "false"})
+    again = source.where(F.col("doc_id").isNotNull())
+    starts = written(again.mapInArrow(second_pass, "cls bigint, n bigint, `set` array<bigint>"), "prefixes", **{"parquet.enable.dictionary": "false"})
+    by_first = [F.min("cls").alias("a"), F.max("cls").alias("z"), F.min_by("n", "cls").alias("n_a")]
+    groups = written(starts.select("cls", "n", F.explode("set").alias("token")).groupBy("token").agg(*by_first).where("a <> z").select("token"), "groups")
     _free(spark)
-    n = F.size("set")
-    rows = written(members.select("cls", n.alias("n"), F.explode(F.slice("set", F.lit(1), n - F.ceil(n * NUM / DEN).cast("int") + 1)).alias("token")), "tokens")
-    near = F.least("n_a", "n_b") * DEN >= F.greatest("n_a", "n_b") * NUM
-    firsts = rows.groupBy("token").agg(F.min("cls").alias("a"), F.max("cls").alias("z"), F.min_by("n", "cls").alias("n_a")).where("a <> z").drop("z")
-    star = (
-        rows.select("token", F.col("cls").alias("b"), F.col("n").alias("n_b"))
-        .join(firsts, "token")
-        .where((F.col("a") != F.col("b")) & near)
-        .select("a", "b")
-        .distinct()
-        .checkpoint()
-    )
-    links = _linked(star, members)
-    comp = components(links)
-
-    labelled = rows.join(comp, rows.cls == comp.node, "left").select("token", "cls", "n", F.coalesce("comp", "cls").alias("comp")).checkpoint()
-    mixed = labelled.groupBy("token").agg(F.min("comp").alias("main"), F.max("comp").alias("top")).where("main <> top").select("token", "main")
-    inside = labelled.join(mixed, "token")
-    one = inside.where("comp <> main").select("token", F.col("cls").alias("a0"), F.col("n").alias("n_a"), F.col("comp").alias("comp_a"))
-    two = inside.select("token", F.col("cls").alias("b0"), F.col("n").alias("n_b"), F.col("comp").alias("comp_b"))
-    rest = (
-        one.join(two, "token")
-        .where((F.col("comp_a") != F.col("comp_b")) & near)
-        .select(F.least("a0", "b0").alias("a"), F.greatest("a0", "b0").alias("b"))
-        .distinct()
-        .join(star, ["a", "b"], "left_anti")
-    )
-    more = _linked(rest, members)
-    comp = components(links.unionAll(more))
+    group_map = spark.sparkContext.broadcast(BitMap.of(groups, "token"))
+
+    def grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            off = batch.column(2).offsets.to_numpy()
+            tokens = batch.column(2).values.to_numpy()[off[0] : off[-1]]
+            owner = np.repeat(np.arange(batch.num_rows), np.diff(off))
+            hit = group_map.value.has(tokens)
+            rows = pa.array(owner[hit])
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(tokens[hit])], names=["cls", "n", "token"])
+
+    rows = starts.mapInArrow(grouped, "cls bigint, n bigint, token bigint").join(groups, "token", "left_semi").checkpoint()
+    smallest = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * NUM / DEN) / 10))
+    enough = rows.groupBy("cls", "n").agg(F.count("*").alias("hits")).where(F.col("hits") >= smallest).select("cls")
+    rows = rows.join(enough, "cls", "left_semi").checkpoint()
+    groups = rows.groupBy("token").agg(*by_first).where("a <> z").drop("z").checkpoint()
+    under = rows.join(groups, "token").select("a", "cls", "n", "n_a").dropDuplicates(["a", "cls"]).checkpoint()
+    heads = under.select("a", F.col("a").alias("cls"), F.col("n_a").alias("n")).dropDuplicates(["a"])
+    members = under.where("a <> cls").select("a", "cls", "n").unionAll(heads)
+    _free(spark)
+    comp = components(_linked(members, source, active, size, order))
 
     classes = sets.where((F.col("n") > 0) & F.col("doc_id").isNotNull()).groupBy("cls").agg(F.min("doc_id").alias("first"))
     linked_ids = classes.join(comp, classes.cls == comp.node, "left").select("cls", "first", F.coalesce("comp", "cls").alias("comp"))
