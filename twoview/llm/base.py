@@ -7,7 +7,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from twoview.llm.text import Chunk, column_chunks
@@ -63,3 +63,24 @@ def map_chunks(df: DataFrame, text_col: str, keep: list[str], fn: Callable[[Chun
                 )
 
     return source.mapInArrow(run, f"{kinds}, {schema}" if keep else schema)
+
+
+def ranked(df: DataFrame, group: list[str], order: str, name: str, *, spread: int = 65_536, least: int = 1024) -> DataFrame:
+    """df with the rank (from 0) of each row within its group by a bigint column, nulls first; ties in any order.
+
+    Rows are ranked within ranges of the order column, at most spread of them, and each range starts after
+    the counts of those before it; so no group's rows meet in one task, however large it is.
+    """
+    ends = df.agg(F.min(order).alias("lo"), F.max(order).alias("hi")).first()
+    lo = ends.lo or 0
+    width = max(least, ((ends.hi or 0) - lo) // spread + 1)
+    cut = df.withColumn("_range", F.coalesce(F.floor((F.col(order) - F.lit(lo)) / width).cast("bigint"), F.lit(-1).cast("bigint")))
+    within = cut.withColumn("_nth", F.row_number().over(Window.partitionBy(*group, "_range").orderBy(order)) - 1)
+    counts = cut.groupBy(*group, "_range").agg(F.count("*").alias("_n"))
+    before = Window.partitionBy(*group).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.select(*[F.col(g).alias(f"_g{i}") for i, g in enumerate(group)], F.col("_range").alias("_r"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
+    same = F.col("_range") == F.col("_r")
+    for i, g in enumerate(group):
+        same = same & F.col(g).eqNullSafe(F.col(f"_g{i}"))
+    joined = within.join(starts, same)
+    return joined.withColumn(name, (F.col("_start") + F.col("_nth")).cast("bigint")).drop("_range", "_nth", "_r", "_start", *[f"_g{i}" for i in range(len(group))])
