@@ -1,4 +1,4 @@
-"""All queries of the core library and their SQL."""
+"""All queries of the core library and their SQL; the modules below fill them in."""
 
 from __future__ import annotations
 
@@ -6,5 +6,21 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+    """Registers a query and, where SQL can express it, its DuckDB form."""
+
+    def add(fn: Query) -> Query:
+        QUERIES[name] = fn
+        if sql is not None:
+            SQL[name] = sql
+        return fn
+
+    return add
+
+
+from twoview.plans import relational_queries, stream_queries, vector_queries  # noqa: E402, F401
