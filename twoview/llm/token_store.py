@@ -15,6 +15,7 @@ another. An empty table gives an empty store. Other columns are left out of acco
 from __future__ import annotations
 
 import hashlib
+import json
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -27,9 +28,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from twoview.llm.base import has_columns, shared_dir, written
-from twoview.llm.text import Chunk, column_chunks
+from twoview.llm.text import Chunk, column_chunks, span_hashes
 
-CACHE_WORDS = 400_000
+CACHE_WORDS, YOUNG_WORDS = 600_000, 30_000
 BLOCK_BYTES = 1 << 20
 BLOCK = (
     "part bigint, seq bigint, dict_sha256 string, doc_id array<bigint>, n_tokens array<bigint>, offset array<bigint>, blob binary, tokens bigint"
@@ -37,52 +38,118 @@ BLOCK = (
 
 
 class WordIds:
-    """Token ids of the words of chunks, from a cache of words by hash that starts anew when it is full."""
+    """Token ids of the words of chunks, from a cache of words by hash that starts anew when it is full.
+
+    Words come first into a small sorted table, which goes over into the large one now and then.
+    """
 
     def __init__(self, path: str, lower: bool = False) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.lower = lower
+        made = json.loads(self.tokenizer.to_str())
+        folds = any(n["type"] == "Lowercase" for n in [made["normalizer"] or {"type": ""}, *(made["normalizer"] or {}).get("normalizers", [])])
+        self.lower, self.folds = lower, folds
+        self.suffix = made["model"].get("end_of_word_suffix")
+        vocab = self.tokenizer.get_vocab()
+        self.closes = np.zeros(max(vocab.values()) + 1, bool)
+        if self.suffix:
+            self.closes[[i for t, i in vocab.items() if t.endswith(self.suffix)]] = True
         self.clear()
 
     def clear(self) -> None:
-        self.keys = np.zeros(0, np.uint64)
-        self.first = np.zeros(0, np.int64)
-        self.count = np.zeros(0, np.int64)
-        self.ids = np.zeros(0, np.uint32)
-
-    def _learn(self, chunk: Chunk, h: np.ndarray) -> None:
-        if len(self.keys) > CACHE_WORDS:
-            self.clear()
-        new, at = np.unique(h, return_index=True)
-        at = at[~np.isin(new, self.keys, assume_unique=True)] if len(self.keys) else at
-        cp = chunk.lower if self.lower else chunk.cp
-        words = [cp[a:b].tobytes().decode("utf-32-le") for a, b in zip(chunk.starts[at].tolist(), chunk.ends[at].tolist(), strict=True)]
-        ids = [e.ids for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-        count = np.array([len(x) for x in ids], np.int64)
-        first = np.cumsum(count) - count + len(self.ids)
-        self.ids = np.concatenate([self.ids, np.fromiter((i for x in ids for i in x), np.uint32, int(count.sum()))])
-        keys = np.concatenate([self.keys, h[at]])
-        order = np.argsort(keys)
-        self.keys = keys[order]
-        self.first = np.concatenate([self.first, first])[order]
-        self.count = np.concatenate([self.count, count])[order]
+        self.tables = [(np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32)) for _ in range(2)]
+        self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
+
+    @staticmethod
+    def _merged(a: tuple, b: tuple) -> tuple:
+        keys = np.concatenate([a[0], b[0]])
+        order = np.argsort(keys, kind="stable")
+        return keys[order], np.concatenate([a[1], b[1]])[order], np.concatenate([a[2], b[2]])[order]
+
+    def _ids(self, texts: list[str], plain: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of some texts one after another, and how many each has.
+
+        Texts of letters alone (plain) go as one text: each gives one word, whose last id says that a word ends.
+        """
+        count = np.zeros(len(texts), np.int64)
+        parts: list[np.ndarray] = [np.zeros(0, np.uint32)] * len(texts)
+        joint = np.flatnonzero(plain) if self.suffix else np.zeros(0, np.int64)
+        if len(joint):
+            got = np.array(self.tokenizer.encode_batch_fast([" ".join([texts[i] for i in joint])], add_special_tokens=False)[0].ids, np.uint32)
+            last = np.flatnonzero(self.closes[got]) + 1
+            if len(last) == len(joint) and last[-1] == len(got):
+                count[joint] = np.diff(last, prepend=0)
+                if len(joint) == len(texts):
+                    return got, count
+                for i, a, b in zip(joint.tolist(), [0, *last[:-1].tolist()], last.tolist(), strict=True):
+                    parts[i] = got[a:b]
+                plain = plain.copy()
+            else:
+                plain = np.zeros(len(texts), bool)
+        else:
+            plain = np.zeros(len(texts), bool)
+        rest = np.flatnonzero(~plain)
+        for i, e in zip(rest.tolist(), self.tokenizer.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
+            parts[i] = np.array(e.ids, np.uint32)
+            count[i] = len(parts[i])
+        return np.concatenate(parts) if parts else np.zeros(0, np.uint32), count
+
+    def _learn(self, cp: np.ndarray, starts: np.ndarray, ends: np.ndarray, plain: np.ndarray, h: np.ndarray) -> None:
+        """Tokenizes the distinct ones of some spans."""
+        h, at = np.unique(h, return_index=True)
+        texts = [cp[a:b].tobytes().decode("utf-32-le") for a, b in zip(starts[at].tolist(), ends[at].tolist(), strict=True)]
+        ids, count = self._ids(texts, plain[at])
+        while self.used + len(ids) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+        self.ids[self.used : self.used + len(ids)] = ids
+        first = np.cumsum(count) - count + self.used
+        self.used += len(ids)
+        self.tables[1] = self._merged(self.tables[1], (h, first, count.astype(np.int32)))
+
+    def _spans(self, chunk: Chunk, cp: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Spans to look up: words, cut where letters or digits meet closing marks; which word each is of; which are letters alone."""
+        starts, ends = chunk.starts, chunk.ends
+        letter = ((cp - np.uint32(97)) < 26) | ((cp - np.uint32(65)) < 26) | (((cp - np.uint32(0xC0)) < 0x40) & (cp != 0xD7) & (cp != 0xF7))
+        core = ends.copy()
+        if self.suffix and len(starts):
+            for _ in range(3):
+                mark = cp[core - 1]
+                core = core - (((mark == 46) | (mark == 44) | (mark == 33)) & (core - 1 > starts))
+            core = np.where(letter[core - 1], core, ends)
+        cut = core < ends
+        word = np.repeat(np.arange(len(starts)), 1 + cut)
+        tail = np.zeros(len(word), bool)
+        tail[1:] = word[1:] == word[:-1]
+        a = np.where(tail, core[word], starts[word])
+        b = np.where(tail, ends[word], core[word])
+        total = np.append(0, np.cumsum(letter))
+        return a, b, word, total[b] - total[a] == b - a
 
     def encode(self, chunk: Chunk) -> tuple[np.ndarray, np.ndarray]:
         """All ids of a chunk's words in order, and how many each word has."""
-        h = chunk.hashes(lower=self.lower)
-        if not len(h):
-            return np.zeros(0, np.uint32), np.zeros(0, np.int64)
-        for _ in range(2):
-            at = np.minimum(np.searchsorted(self.keys, h), max(len(self.keys) - 1, 0))
-            known = self.keys[at] == h if len(self.keys) else np.zeros(len(h), bool)
-            if known.all():
-                break
-            self._learn(chunk, h)
-        first, count = self.first[at], self.count[at]
+        # special tokens are told by case, so a chunk that may hold one is taken as it is
+        fold = self.lower or (self.folds and not (chunk.cp == 60).any())
+        cp = chunk.lower if fold else chunk.cp
+        starts, ends, word, plain = self._spans(chunk, cp)
+        h = span_hashes(cp, starts, ends, chunk.solid)
+        if len(self.tables[1][0]) > YOUNG_WORDS:
+            self.tables = [self._merged(*self.tables), (np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32))]
+        if len(self.tables[0][0]) > CACHE_WORDS:
+            self.clear()
+        first, count = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+        todo = np.arange(len(h))
+        for k in (0, 1, 1):
+            keys, start, n = self.tables[k]
+            if len(keys) and len(todo):
+                at = np.minimum(np.searchsorted(keys, h[todo]), len(keys) - 1)
+                hit = keys[at] == h[todo]
+                first[todo[hit]], count[todo[hit]] = start[at[hit]], n[at[hit]]
+                todo = todo[~hit]
+            if k and len(todo):
+                self._learn(cp, starts[todo], ends[todo], plain[todo], h[todo])
         index = np.arange(count.sum()) + np.repeat(first - np.cumsum(count) + count, count)
-        return self.ids[index], count
+        return self.ids[index], np.bincount(word, count, len(chunk.starts)).astype(np.int64)
 
 
 _word_ids: dict[tuple[str, bool], WordIds] = {}
@@ -90,7 +157,9 @@ _word_ids: dict[tuple[str, bool], WordIds] = {}
 
 def word_ids(path: str, lower: bool = False) -> WordIds:
     """The worker's cache for a tokenizer file."""
-    return _word_ids.setdefault((path, lower), WordIds(path, lower)) if (path, lower) not in _word_ids else _word_ids[path, lower]
+    if (path, lower) not in _word_ids:
+        _word_ids[path, lower] = WordIds(path, lower)
+    return _word_ids[path, lower]
 
 
 def document_ids(chunk: Chunk, path: str, end_id: int) -> tuple[np.ndarray, np.ndarray]:

@@ -21,7 +21,8 @@ from twoview.llm.base import map_chunks
 from twoview.llm.subwords import BITS, chunks_of, edges, labelled_sample, passages, places
 from twoview.llm.text import Chunk
 
-PASSAGE, STEP = 24, 12
+#: Words of a passage: few where there are fewer than FEW toxic training rows, whose evidence must come from single words.
+PASSAGE, SHORT_PASSAGE, FEW = 60, 24, 150
 #: A passage of fewer subwords is filled up with zero vectors, so that few words alone weigh no more than among others.
 FULL = 200
 
@@ -33,24 +34,25 @@ class Model:
     embedding: np.ndarray
     weights: np.ndarray
     bias: np.ndarray
+    size: int = PASSAGE
 
     @property
     def margin(self) -> np.ndarray:
         return self.embedding @ (self.weights[:, 1] - self.weights[:, 0])
 
 
-def _flat(texts: list[str], most: np.ndarray, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _flat(texts: list[str], size: int, most: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Subwords of passages of some texts, passage after passage: buckets, passage bounds, text of each passage.
 
     Training passages don't overlap; of a text with over most passages, most are drawn, as many for either class.
     """
     buckets, lens, docs, base = [], [], [], 0
     for chunk in chunks_of(texts):
-        p = places(chunk, once_in=PASSAGE)
-        doc, first, end = passages(chunk, PASSAGE, PASSAGE)
+        p = places(chunk, once_in=size)
+        doc, first, end = passages(chunk, size, size)
         order = np.lexsort((rng.random(len(doc)), doc))
         nth = np.arange(len(doc)) - np.searchsorted(doc, doc)
-        use = np.sort(order[nth < most[base + doc]])
+        use = np.sort(order[nth < most])
         doc, (a, b) = doc[use], edges(p, first[use], end[use])
         place = np.concatenate([x for x, _ in p.layers])
         bucket = np.concatenate([x for _, x in p.layers])
@@ -71,7 +73,7 @@ def _sums(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return total[bounds[1:]] - total[bounds[:-1]]
 
 
-def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, warm: int = 20, rate: float = 4.0, momentum: float = 0.9, min_docs: int = 3, min_share: float = 0.01, floor: float = 20.0, most: int = 100, seed: int = 3) -> Model:
+def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, warm: int = 20, rate: float = 4.0, momentum: float = 0.9, min_docs: int = 3, min_share: float = 0.01, floor: float = 20.0, most: int = 1000, seed: int = 3) -> Model:
     """Fit embeddings and softmax together by accelerated gradient steps, then scale them to document scores.
 
     The gradient of a subword's embedding is the softmax's direction times the sum, over passages, of the passage's
@@ -83,13 +85,14 @@ def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, war
     size = 1 << BITS
     model = Model(np.zeros((size, dim), np.float32), np.stack([-np.ones(dim), np.ones(dim)], 1) / (2 * np.sqrt(dim)), np.zeros(2))
     toxic = y > 0
+    model.size = PASSAGE if toxic.sum() >= FEW else SHORT_PASSAGE
     share = toxic.mean() if len(y) else 0.0
     if not len(y) or share in (0.0, 1.0):
         model.bias = np.log([max(1 - share, 1e-9), max(share, 1e-9)])
         return model
     aside = rng.permutation(len(y)) % 5 == 0 if min(toxic.sum(), (~toxic).sum()) >= 100 else np.zeros(len(y), bool)
     fit = np.flatnonzero(~aside)
-    bucket, bounds, doc = _flat([texts[i] for i in fit], np.full(len(fit), most), rng)
+    bucket, bounds, doc = _flat([texts[i] for i in fit], model.size, most, rng)
     label = toxic[fit][doc]
     count = np.diff(bounds)
     owner = np.repeat(np.arange(len(doc)), count)
@@ -124,7 +127,7 @@ def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, war
     model.embedding[known] = rows[:-1]
     model.weights = np.stack([-way, way], 1) / 2
     held = np.flatnonzero(aside) if aside.any() else fit
-    best = np.concatenate([best_margin(c, model.margin.astype(float)) for c in chunks_of([texts[i] for i in held])])
+    best = np.concatenate([best_margin(c, model.margin.astype(float), model.size) for c in chunks_of([texts[i] for i in held])])
     slope, shift = _odds(best, toxic[held], 0.25)
     model.embedding *= slope
     model.bias = np.array([-shift, shift]) / 2
@@ -146,19 +149,19 @@ def _odds(x: np.ndarray, y: np.ndarray, share: float) -> tuple[float, float]:
     return float(max(theta[0], 1e-3)), float(theta[1])
 
 
-def best_margin(chunk: Chunk, margin: np.ndarray) -> np.ndarray:
+def best_margin(chunk: Chunk, margin: np.ndarray, size: int) -> np.ndarray:
     """The highest mean margin of any passage of each text."""
-    p = places(chunk, once_in=PASSAGE)
+    p = places(chunk, once_in=size)
     total, count = p.totals(margin)
-    doc, first, end = passages(chunk, PASSAGE, STEP)
+    doc, first, end = passages(chunk, size, size // 2)
     a, b = edges(p, first, end)
     z = (total[b] - total[a]) / np.maximum(count[b] - count[a], FULL)
     return np.maximum.reduceat(z, np.searchsorted(doc, np.arange(chunk.n)))
 
 
-def score_chunk(chunk: Chunk, margin: np.ndarray, bias: float) -> np.ndarray:
+def score_chunk(chunk: Chunk, margin: np.ndarray, bias: float, size: int) -> np.ndarray:
     """The highest passage probability of each text."""
-    return 1 / (1 + np.exp(-np.clip(best_margin(chunk, margin) + bias, -40, 40)))
+    return 1 / (1 + np.exp(-np.clip(best_margin(chunk, margin, size) + bias, -40, 40)))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, *, per_class: int = 1500, threshold: float = 0.3) -> DataFrame:
@@ -168,6 +171,6 @@ def toxicity(docs: DataFrame, labels: DataFrame, *, per_class: int = 1500, thres
     """
     texts, y = labelled_sample(docs, labels, "toxic", per_class)
     model = train(texts, y)
-    sent = docs.sparkSession.sparkContext.broadcast((model.margin.astype(np.float64), float(model.bias[1] - model.bias[0])))
+    sent = docs.sparkSession.sparkContext.broadcast((model.margin.astype(np.float64), float(model.bias[1] - model.bias[0]), model.size))
     scored = map_chunks(docs, "text", ["doc_id"], lambda c: {"score": score_chunk(c, *sent.value)}, "score double")
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
