@@ -92,21 +92,35 @@ def walk_step(p: DataFrame, steps: DataFrame, nodes: DataFrame, lazy: float = 0.
     return spread.select("node", (lazy * F.col("p") + (1 - lazy) * go).alias("p"))
 
 
-def stationary(graph: DataFrame, *, weights: str = "uniform", symmetrize: bool = True, teleport: float = 0.0, lazy: float = 0.2, tol: float = 1e-9, max_iter: int = 100) -> DataFrame:
+def stationary(graph: DataFrame, *, weights: str = "uniform", symmetrize: bool = True, teleport: float = 0.0, lazy: float = 0.2, tol: float = 1e-9, max_iter: int = 100, checkpoint_every: int = 5) -> DataFrame:
     """Where a random walk ends up: (node, p). A lazy step keeps it from swinging between two halves.
 
-    Each round ends in a checkpoint: a round reads the last one's result twice, so uncut lineage would double each time.
+    Lazy steps are edges from each node to itself, so that a round is one join and one sum. Rounds with dead ends or
+    teleports read the last round's result more than once, so each of them ends in a checkpoint; others
+    do every few rounds.
     """
-    steps = transitions(graph, weights, symmetrize).checkpoint()
+    steps = transitions(graph, weights, symmetrize)
     nodes = graph.select(F.col("src").alias("node")).union(graph.select("dst")).distinct().checkpoint()
     n = nodes.count()
     p = nodes.withColumn("p", F.lit(1.0 / max(n, 1)))
-    for _ in range(max_iter):
-        new = walk_step(p, steps, nodes, lazy, teleport).checkpoint()
-        gap = new.join(p.withColumnRenamed("p", "old"), "node").agg(F.sum(F.abs(F.col("p") - F.col("old"))).alias("d")).first().d
-        p = new
+    plain = teleport == 0 and nodes.join(steps.select(F.col("src").alias("node")), "node", "left_anti").isEmpty()
+    if plain:
+        stay = nodes.select(F.col("node").alias("src"), F.col("node").alias("dst"), F.lit(float(lazy)).alias("p"))
+        steps = steps.select("src", "dst", (F.col("p") * (1 - lazy)).alias("p")).unionAll(stay)
+    steps = steps.checkpoint()
+    last = p
+    for i in range(1, max_iter + 1):
+        if plain:
+            p = steps.join(p.select("node", F.col("p").alias("at")), steps.src == F.col("node")).groupBy(F.col("dst").alias("node")).agg(F.sum(F.col("p") * F.col("at")).alias("p"))
+            if i % checkpoint_every and i < max_iter:
+                continue
+        else:
+            p = walk_step(p, steps, nodes, lazy, teleport)
+        p = p.checkpoint()
+        gap = p.join(last.withColumnRenamed("p", "old"), "node").agg(F.sum(F.abs(F.col("p") - F.col("old"))).alias("d")).first().d
         if gap is None or gap < tol:
             break
+        last = p
     return p
 
 

@@ -817,7 +817,7 @@ def walk_step(spark: SparkSession, d: str) -> DataFrame:
 @query("stationary", K.with_(K.vectors(), _EDGES, _SYM) + "SELECT src AS node, round(n / sum(n) OVER (), 5) AS p FROM dg")
 def stationary(spark: SparkSession, d: str) -> DataFrame:
     """On a symmetric graph the walk ends in proportion to degrees: a closed form to hold it against."""
-    return G.stationary(_with_dir(_graph(spark, d)), tol=1e-6, max_iter=60).select("node", F.round("p", 5).alias("p"))
+    return G.stationary(_with_dir(_graph(spark, d)), tol=1e-5, max_iter=60).select("node", F.round("p", 5).alias("p"))
 
 
 def _with_dir(df: DataFrame) -> DataFrame:
