@@ -41,12 +41,14 @@ class Model:
         return self.embedding @ (self.weights[:, 1] - self.weights[:, 0])
 
 
-def _flat(texts: list[str], size: int, most: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Subwords of passages of some texts, passage after passage: buckets, passage bounds, text of each passage.
+def _flat(texts: list[str], size: int, most: int, min_docs: float, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Subwords of passages of some texts, passage after passage, without those in fewer than min_docs texts.
 
+    Returns the buckets left, passage bounds, text of each passage, all subwords of each passage, and the buckets known.
     Training passages don't overlap; of a text with over most passages, most are drawn, as many for either class.
     """
     buckets, lens, docs, base = [], [], [], 0
+    often = np.zeros(1 << BITS, np.int32)
     for chunk in chunks_of(texts):
         p = places(chunk, once_in=size)
         doc, first, end = passages(chunk, size, size)
@@ -60,19 +62,35 @@ def _flat(texts: list[str], size: int, most: int, rng: np.random.Generator) -> t
         place, bucket = place[order], bucket[order].astype(np.int32)
         lo = np.searchsorted(place, a)
         n = np.searchsorted(place, b) - lo
-        buckets.append(bucket[np.arange(n.sum()) + np.repeat(lo - np.cumsum(n) + n, n)])
+        mine = bucket[np.arange(n.sum()) + np.repeat(lo - np.cumsum(n) + n, n)]
+        pairs = np.unique(mine.astype(np.int64) * chunk.n + np.repeat(doc, n))
+        often += np.bincount(pairs // chunk.n, minlength=1 << BITS).astype(np.int32)
+        buckets.append(mine)
         lens.append(n)
         docs.append(doc + base)
         base += chunk.n
-    return np.concatenate(buckets), np.append(0, np.cumsum(np.concatenate(lens))), np.concatenate(docs)
+    count = np.concatenate(lens)
+    known = often >= min_docs
+    kept, left = [], []
+    for mine, n in zip(buckets, lens, strict=True):
+        stay = known[mine]
+        kept.append(mine[stay])
+        left.append(_sums(stay, np.append(0, np.cumsum(n))).astype(np.int64))
+    return np.concatenate(kept), np.append(0, np.cumsum(np.concatenate(left))), np.concatenate(docs), count, np.flatnonzero(known)
 
 
 def _sums(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     """Sums of values between successive bounds."""
-    total = np.append(0.0, np.cumsum(values))
+    total = np.append(0.0, np.cumsum(values, dtype=float))
     return total[bounds[1:]] - total[bounds[:-1]]
 
 
+def _blocks(bounds: np.ndarray, most: int = 1 << 20) -> list[tuple[int, int]]:
+    """Runs of passages with about most subwords each, so that no array of all subwords' numbers is needed."""
+    cuts = np.unique(np.append(np.searchsorted(bounds, np.arange(0, bounds[-1], most)), [0, len(bounds) - 1]))
+    return list(zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
+
+
 def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, warm: int = 20, rate: float = 4.0, momentum: float = 0.9, min_docs: int = 3, min_share: float = 0.01, floor: float = 20.0, most: int = 1000, seed: int = 3) -> Model:
     """Fit embeddings and softmax together by accelerated gradient steps, then scale them to document scores.
 
@@ -92,39 +110,43 @@ def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, war
         return model
     aside = rng.permutation(len(y)) % 5 == 0 if min(toxic.sum(), (~toxic).sum()) >= 100 else np.zeros(len(y), bool)
     fit = np.flatnonzero(~aside)
-    bucket, bounds, doc = _flat([texts[i] for i in fit], model.size, most, rng)
+    bucket, bounds, doc, count, known = _flat([texts[i] for i in fit], model.size, most, max(min_docs, len(fit) * min_share), rng)
     label = toxic[fit][doc]
-    count = np.diff(bounds)
-    owner = np.repeat(np.arange(len(doc)), count)
-    pairs = np.unique(bucket.astype(np.int64) * len(fit) + doc[owner])
-    known = np.flatnonzero(np.bincount(pairs // len(fit), minlength=size) >= max(min_docs, len(fit) * min_share))
-    slot = np.full(size, len(known))
+    slot = np.zeros(size, np.int32)
     slot[known] = np.arange(len(known))
-    slot, inverse = slot[bucket], 1 / np.maximum(count, FULL)
+    slot, inverse, blocks = slot[bucket], 1 / np.maximum(count, FULL), _blocks(bounds)
+
+    def gathered(values: np.ndarray) -> np.ndarray:
+        return np.concatenate([_sums(values[slot[bounds[a] : bounds[b]]], bounds[a : b + 1] - bounds[a]) for a, b in blocks]) if blocks else np.zeros(len(doc))
+
+    def scattered(values: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(known))
+        for a, b in blocks:
+            out += np.bincount(slot[bounds[a] : bounds[b]], np.repeat(values[a:b], np.diff(bounds[a : b + 1])), len(known))
+        return out
+
     use = np.ones(len(doc), bool)
-    rows, way, bias = np.zeros((len(known) + 1, dim)), model.weights[:, 1] - model.weights[:, 0], -2.0
+    rows, way, bias = np.zeros((len(known), dim)), model.weights[:, 1] - model.weights[:, 0], -2.0
     speed = np.zeros_like(rows)
     for step in range(steps):
         ahead = rows + momentum * speed
-        margin = (ahead @ way)[slot]
-        z = _sums(margin, bounds) * inverse
-        if step >= warm and step % 5 == 0:
-            best = np.lexsort((-z, doc))
-            use = ~label
-            use[best[np.append(True, doc[best][1:] != doc[best][:-1])]] = True
-        weight = use * np.where(label, 0.5 / max((use & label).sum(), 1), 0.5 / max((use & ~label).sum(), 1))
+        z = gathered(ahead @ way) * inverse
+        if step == 0 or (step >= warm and step % 5 == 0):
+            if step:
+                best = np.lexsort((-z, doc))
+                use = ~label
+                use[best[np.append(True, doc[best][1:] != doc[best][:-1])]] = True
+            weight = use * np.where(label, 0.5 / max((use & label).sum(), 1), 0.5 / max((use & ~label).sum(), 1))
+            often = scattered(weight * inverse) + floor * 0.5 * inverse.mean() / max((use & label).sum(), 1)
         for _ in range(3):
             chance = 1 / (1 + np.exp(-np.clip(z + bias, -30, 30)))
             err = weight * (chance - label)
             bias -= err.sum() / max((weight * chance * (1 - chance)).sum(), 1e-3)
-        pull = np.bincount(slot, (err * inverse)[owner], len(known) + 1)
-        pull[-1] = 0
-        often = np.bincount(slot, (weight * inverse)[owner], len(known) + 1) + floor * 0.5 * inverse.mean() / max((use & label).sum(), 1)
+        pull = scattered(err * inverse)
         speed = momentum * speed - rate * (pull / often)[:, None] * way
         way = way - 0.01 * pull @ ahead
         rows = rows + speed
-    rows[-1] = 0
-    model.embedding[known] = rows[:-1]
+    model.embedding[known] = rows
     model.weights = np.stack([-way, way], 1) / 2
     held = np.flatnonzero(aside) if aside.any() else fit
     best = np.concatenate([best_margin(c, model.margin.astype(float), model.size) for c in chunks_of([texts[i] for i in held])])
