@@ -100,9 +100,8 @@ def test_walk_over_lists_gives_the_sorted_prefix(spark):
     rng = np.random.default_rng(0)
     for _ in range(30):
         t = [np.round(rng.random(8), 1) for _ in range(2)]
-        every = sorted((round(float(t[0][i] + t[1][j]), 9), i * 8 + j) for i in range(8) for j in range(8))
-        got = [(round(d, 9), c) for d, c in I.probe_order(t, 20)]
-        assert got == every[:20]
+        every = sorted((float(t[0][i]) + float(t[1][j]), i * 8 + j) for i in range(8) for j in range(8))
+        assert I.probe_order(t, 20) == every[:20]
     t = spark.createDataFrame([(1, t[0].tolist(), t[1].tolist())], "qid bigint, d_u array<double>, d_v array<double>")
     assert [r.cell for r in I.probe_cells_sql(t, 20).orderBy("ord").collect()] == [c for _, c in every[:20]]
 

@@ -60,22 +60,17 @@ def probe_order(tables: list[np.ndarray], n_probe: int) -> list[tuple[float, int
     start = (0,) * len(tables)
     heap, seen, out = [(*cell(start), start)], {start}, []
     while heap and len(out) < n_probe:
-        d, c, at = heapq.heappop(heap)
-        ties = [(c, at)]
-        while heap and heap[0][0] == d:
-            _, c2, at2 = heapq.heappop(heap)
-            ties.append((c2, at2))
-        for _, a in ties:
+        d, group = heap[0][0], []
+        while heap and heap[0][0] == d:  # cells as near as this one, some of which only come up through it
+            _, c, at = heapq.heappop(heap)
+            group.append(c)
             for m in range(len(tables)):
-                nxt = (*a[:m], a[m] + 1, *a[m + 1 :])
+                nxt = (*at[:m], at[m] + 1, *at[m + 1 :])
                 if nxt[m] < k and nxt not in seen:
                     seen.add(nxt)
                     heapq.heappush(heap, (*cell(nxt), nxt))
-        ties.sort()
-        out.append((d, ties[0][0]))
-        for c2, at2 in ties[1:]:
-            heapq.heappush(heap, (d, c2, at2))
-    return out
+        out += [(d, c) for c in sorted(group)]
+    return out[:n_probe]
 
 
 def fit_multi_index(train: DataFrame, dims: int, c: int, codes: CodeModel, parts: int = 2, residual: bool = False, seed: int = 0) -> CoarseIndex:
