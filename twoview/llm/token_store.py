@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from twoview.llm.base import has_columns, shared_dir, written
 from twoview.llm.text import Chunk, column_chunks, span_hashes
 
-CACHE_WORDS, YOUNG_WORDS = 600_000, 30_000
+CACHE_WORDS, YOUNG_WORDS = 1_200_000, 40_000
 BLOCK_BYTES = 1 << 20
 BLOCK = (
     "part bigint, seq bigint, dict_sha256 string, doc_id array<bigint>, n_tokens array<bigint>, offset array<bigint>, blob binary, tokens bigint"
