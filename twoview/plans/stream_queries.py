@@ -32,7 +32,7 @@ def stream_topk(spark: SparkSession, d: str) -> DataFrame:
 def stream_windows(spark: SparkSession, d: str) -> DataFrame:
     e = T.table_stream(spark, d, "events").withWatermark("ts", "1 hour")
     g = e.groupBy(F.window("ts", "1 day"), "user_id").agg(F.count("*").alias("n"), F.sum("value").alias("total"))
-    return T.run_complete(g).select("user_id", F.col("window.start").alias("day"), "n", F.round("total", 4).alias("total"))
+    return T.run_complete(g).select("user_id", F.col("window.start").cast("timestamp_ntz").alias("day"), "n", F.round("total", 4).alias("total"))
 
 
 @query(
@@ -42,7 +42,7 @@ def stream_windows(spark: SparkSession, d: str) -> DataFrame:
 def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
     e = T.table_stream(spark, d, "events").withWatermark("ts", "1 hour")
     g = e.groupBy(F.window("ts", "7 days", "1 day"), "user_id").agg(F.count("*").alias("n"))
-    return T.run_complete(g).select("user_id", F.col("window.start").alias("start"), "n")
+    return T.run_complete(g).select("user_id", F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @query(
@@ -52,7 +52,8 @@ def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
     SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS finish, count(*) AS n_events FROM s GROUP BY user_id, k""",
 )
 def stream_sessions(spark: SparkSession, d: str) -> DataFrame:
-    return T.run_complete(T.sessions(T.table_stream(spark, d, "events")))
+    out = T.run_complete(T.sessions(T.table_stream(spark, d, "events")))
+    return out.select("user_id", *[F.col(c).cast("timestamp_ntz").alias(c) for c in ("start", "finish")], "n_events")
 
 
 @query("stream_user_vectors", "SELECT count(*) AS windows, sum(n) AS n_events FROM (SELECT user_id, date_trunc('day', ts), count(*) AS n FROM events GROUP BY 1, 2)")
@@ -60,7 +61,7 @@ def stream_user_vectors(spark: SparkSession, d: str) -> DataFrame:
     """Daily user vectors; the first component times the window's events must add up to all events."""
     types = [r.event_type for r in spark.read.parquet(f"{d}/events.parquet").select("event_type").distinct().orderBy("event_type").collect()]
     v = T.run_complete(T.windowed_users(T.table_stream(spark, d, "events"), types))
-    per = spark.read.parquet(f"{d}/events.parquet").groupBy(F.col("user_id").alias("vec_id"), F.date_trunc("day", "ts").alias("start")).agg(F.count("*").alias("n"))
+    per = spark.read.parquet(f"{d}/events.parquet").groupBy(F.col("user_id").alias("vec_id"), F.date_trunc("day", F.col("ts").cast("timestamp")).alias("start")).agg(F.count("*").alias("n"))
     return v.join(per, ["vec_id", "start"]).agg(F.count("*").alias("windows"), F.sum("n").cast("decimal(38,0)").alias("n_events"))
 
 
