@@ -1,20 +1,29 @@
 """Mixing sources to target weights by fair scheduling, in DataFrame operations only.
 
-Each source's rows come in blocks. Block i (from 1) of a source of weight w is released at the floor of (i - 1) / w and
-due by the ceiling of i / w; in each slot the released block that is due first goes next. With weights that
-sum to one no block is late, so that at every slot each source is less than one block from its share.
-Weights are whole parts of a period, which makes the schedule periodic: one period is worked out, and each
-block finds its slot by its number alone.
+Each source's rows come in blocks. With weights given, or more sources than a period has slots, or no period, each block's
+slot follows from its number and the exact weights: sources are joined two by two, lightest first, and where
+a joined pair has had k blocks, its first part has had its share of k, rounded to the nearest. So the
+distance from the asked share has a bound for each source, under two blocks, at every slot however many there are.
+
+Otherwise weights, the root of row counts, are rounded to whole parts of a period, at least one each, as the SQL form has
+it: block i (from 1) of a source of weight w is released at the floor of (i - 1) / w and due by the ceiling of i / w, and
+in each slot the released block that is due first goes next. The target is the rounded share, and each source is less
+than one block from that one; from the root itself it moves off by the rounding, in proportion to the slots.
 
 All rows stay. A source that runs out leaves its slots empty and the others keep their order.
 
-Cases: rows without a source are a source of their own. Equal ids follow each other in any order. More
-sources than the period has slots are refused. An empty table gives an empty result. Other columns ride along;
+Cases: rows without a source are a source of their own. Equal ids follow each other in any order. Sources that
+weights leave out or give 0 follow after all others. An empty table gives an empty result. Other columns ride along;
 those named block, slot, place or target are replaced.
 """
 
 from __future__ import annotations
 
+import heapq
+from fractions import Fraction
+from math import lcm
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -22,6 +31,7 @@ from twoview.llm.base import ranked
 
 PERIOD = 1000
 BLOCK_ROWS = 8
+MOST = 10**18
 
 
 def quotas(weights: dict[str | None, float], period: int = PERIOD) -> list[tuple[str | None, int]]:
@@ -51,24 +61,89 @@ def fair_schedule(parts: list[int]) -> list[tuple[int, int]]:
     return out
 
 
+def whole_weights(weights: dict[str | None, float]) -> dict[str | None, int]:
+    """Whole numbers in the exact ratio of the weights; where their sum is over MOST, of a share to its nearest part of MOST."""
+    exact = {s: Fraction(w) for s, w in weights.items()}
+    if any(w < 0 for w in exact.values()) or not any(exact.values()):
+        raise ValueError("weights are to be at least 0, and one more than that")
+    scale = lcm(*(w.denominator for w in exact.values()))
+    whole = {s: int(w * scale) for s, w in exact.items()}
+    total = sum(whole.values())
+    if total <= MOST:
+        return whole
+    return {s: max(1, round(Fraction(w * MOST, total))) if w else 0 for s, w in whole.items()}
+
+
+def paths(whole: dict[str | None, int]) -> dict[str | None, list[tuple[int, int, int]]]:
+    """For each source of weight its steps up the tree of joined pairs: the pair's weight, an addend, and twice its own weight."""
+    names = sorted((s for s in whole if whole[s]), key=lambda s: (whole[s], s is not None, s))
+    heap = [(whole[s], i) for i, s in enumerate(names)]
+    up: dict[int, tuple[int, tuple[int, int, int]]] = {}
+    node = len(names)
+    while len(heap) > 1:
+        (light, a), (heavy, b) = heapq.heappop(heap), heapq.heappop(heap)
+        up[b] = (node, (light + heavy, 2 * heavy - 1, 2 * heavy))
+        up[a] = (node, (light + heavy, 2 * light, 2 * light))
+        heapq.heappush(heap, (light + heavy, node))
+        node += 1
+    out: dict[str | None, list[tuple[int, int, int]]] = {}
+    for i, s in enumerate(names):
+        out[s] = []
+        while i in up:
+            i, step = up[i]
+            out[s].append(step)
+    return out
+
+
+def slot_of(block: int, path: list[tuple[int, int, int]]) -> int:
+    """The slot, from 0, of a source's block, from 0."""
+    at = block + 1
+    for pair, addend, twice in path:
+        at = ((2 * at - 1) * pair + addend) // twice
+    return at - 1
+
+
+def _exact(docs: DataFrame, counts: dict[str | None, int], weights: dict[str | None, float], block_rows: int) -> DataFrame:
+    """mix_sources by the exact weights."""
+    whole = whole_weights({s: weights.get(s, 0) for s in counts})
+    way, total = paths(whole), sum(whole.values())
+    blocks = {s: -(-n // block_rows) for s, n in counts.items()}
+    end = max(((slot_of(blocks[s] - 1, way[s]) + 1) for s in way), default=0)
+    start = dict.fromkeys(counts, 0)
+    for s in sorted((s for s in counts if s not in way), key=lambda s: (s is not None, s)):
+        start[s], end = end, end + blocks[s]
+    if end > MOST // 4:
+        raise ValueError("a weight is too small for its source's blocks: slots pass the range of whole numbers")
+    kind = pa.decimal128(20)
+    step = pa.struct([("t", pa.decimal128(19)), ("c", kind), ("d", kind)])
+    rows = [{"_s": s, "_start": start[s], "_target": whole[s] / total, "_path": [dict(zip("tcd", x, strict=True)) for x in way.get(s, [])]} for s in counts]
+    shares = docs.sparkSession.createDataFrame(
+        pa.Table.from_pylist(rows, pa.schema([("_s", pa.string()), ("_start", pa.int64()), ("_target", pa.float64()), ("_path", pa.list_(step))]))
+    )
+    numbered = ranked(docs, ["source"], "doc_id", "_rank").withColumns({"block": F.floor(F.col("_rank") / block_rows), "place": (F.col("_rank") % block_rows).cast("int")})
+    placed = numbered.join(F.broadcast(shares) if len(rows) <= 10_000 else shares, F.col("source").eqNullSafe(F.col("_s")))
+    slot = F.expr("aggregate(_path, CAST(block + 1 AS BIGINT), (i, x) -> CAST((CAST(2 * i - 1 AS DECIMAL(18, 0)) * x.t + x.c) DIV x.d AS BIGINT)) - 1 + _start")
+    return placed.withColumns({"slot": slot, "target": F.col("_target")}).select(*docs.columns, "block", "slot", "place", "target")
+
+
 def _literal(value: str | None) -> str:
     return "CAST(NULL AS STRING)" if value is None else "'" + value.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def mix_sources(docs: DataFrame, weights: dict[str | None, float] | None = None, *, power: float = 0.5, block_rows: int = BLOCK_ROWS, period: int = PERIOD) -> DataFrame:
+def mix_sources(docs: DataFrame, weights: dict[str | None, float] | None = None, *, power: float = 0.5, block_rows: int = BLOCK_ROWS, period: int | None = PERIOD) -> DataFrame:
     """Give each row of docs (doc_id, source) its block, slot and place within the block, and its source's target.
 
-    weights: by source; None: row counts to the given power, so that small sources come up more often. Rows in
-    order of (slot, place) are the mixture.
+    weights: by source, kept exactly; None: row counts to the given power, so that small sources come up more often, in
+    whole parts of period, or exactly where it is None or there are more sources. Rows in order of (slot, place) are the mixture.
     """
     spark = docs.sparkSession
     docs = docs.drop("block", "slot", "place", "target")
-    counts = {r.source: r.n for r in docs.groupBy("source").agg(F.count("*").alias("n")).limit(period + 1).collect()}
+    counts = {r.source: r.n for r in docs.groupBy("source").agg(F.count("*").alias("n")).collect()}
     if not counts:
         return docs.withColumns({"block": F.lit(0).cast("bigint"), "slot": F.lit(0).cast("bigint"), "place": F.lit(0), "target": F.lit(0.0)})
-    if weights is None:
-        weights = {s: n**power for s, n in counts.items()}
-    parts = quotas({s: weights.get(s, 0.0) for s in counts}, period)
+    if weights is not None or period is None or len(counts) > period:
+        return _exact(docs, counts, weights if weights is not None else {s: n**power for s, n in counts.items()}, block_rows)
+    parts = quotas({s: n**power for s, n in counts.items()}, period)
     order = fair_schedule([q for _, q in parts])
     values = ", ".join(f"({_literal(parts[i][0])}, {nth}, {slot}, {parts[i][1]})" for slot, (i, nth) in enumerate(order))
     plan = spark.sql(f"SELECT * FROM VALUES {values} AS t(_source, _nth_block, _slot, _quota)")
