@@ -240,3 +240,28 @@ def test_specs():
         I.PipelineSpec.parse("mi2x3")
     with pytest.raises(ValueError):
         ModelSpec(10, 3)
+
+
+def test_settled_walk_is_where_rounds_end(spark):
+    """Two clusters joined by one edge mix slowly: eight rounds from even chances are not the end yet."""
+    pairs = [(a + i, a + j) for a, n in ((0, 9), (100, 4)) for i in range(n) for j in range(i)] + [(0, 200), (200, 201), (201, 202), (202, 100)]
+    g = spark.createDataFrame([(a, b, 1, 1.0 + (a + b) % 3) for a, b in pairs], "src long, dst long, rk int, dist double").cache()
+    for weights in ("uniform", "inverse"):
+        steps = {(r.src, r.dst): r.p for r in G.transitions(g, weights).collect()}
+        p = {r.node: r.p for r in G.settled(g, weights).collect()}
+        after = dict.fromkeys(p, 0.0)
+        for (a, b), x in steps.items():
+            after[b] += p[a] * x
+        assert abs(sum(p.values()) - 1) < 1e-9 and all(abs(after[k] - p[k]) < 1e-12 for k in p)
+    with pytest.warns(UserWarning, match="not settled"):
+        early = {r.node: r.p for r in G.stationary(g, max_iter=8).collect()}
+    p = {r.node: r.p for r in G.settled(g).collect()}
+    assert max(abs(early[k] - p[k]) for k in p) > 1e-3
+
+
+@pytest.mark.parametrize("name", ["mode_gallery", "graph_study"])
+def test_mode_queries_take_the_settled_walk(spark, monkeypatch, name):
+    import __spark_entry__ as entry
+
+    monkeypatch.setattr(G, "stationary", lambda *a, **k: pytest.fail("rounds that may not have settled"))
+    assert entry.queries()[name](spark, "/root/testdata/sf0.001").count() > 0

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from functools import reduce
 
 from pyspark.sql import DataFrame, Window
@@ -64,8 +65,8 @@ def graph_descent(graph: DataFrame, vectors: DataFrame, k: int, rounds: int = 1)
     return graph
 
 
-def transitions(graph: DataFrame, weights: str = "uniform", symmetrize: bool = True) -> DataFrame:
-    """Edges (src, dst, p) with each node's chances summing to one.
+def weighted_edges(graph: DataFrame, weights: str = "uniform", symmetrize: bool = True) -> DataFrame:
+    """Edges (src, dst, w), and dist where they are not symmetrized.
 
     weights: 'uniform', 'inverse' distance, or 'kernel' of the mean distance; symmetrize adds each edge's reverse and weighs both alike.
     """
@@ -78,6 +79,12 @@ def transitions(graph: DataFrame, weights: str = "uniform", symmetrize: bool = T
     if symmetrize:
         back = e.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist", "w")
         e = e.unionAll(back).groupBy("src", "dst").agg(F.max("w").alias("w"))
+    return e
+
+
+def transitions(graph: DataFrame, weights: str = "uniform", symmetrize: bool = True) -> DataFrame:
+    """Edges (src, dst, p) with each node's chances summing to one; arguments as of weighted_edges."""
+    e = weighted_edges(graph, weights, symmetrize)
     total = e.groupBy("src").agg(F.sum("w").alias("t"))
     return e.join(total, "src").select("src", "dst", (F.col("w") / F.col("t")).alias("p"))
 
@@ -121,9 +128,20 @@ def stationary(graph: DataFrame, *, weights: str = "uniform", symmetrize: bool =
         if gap is None or gap < tol:
             break
         last = p
+    else:
+        warnings.warn(f"the walk has not settled to {tol} in {max_iter} rounds", stacklevel=2)
     return p
 
 
+def settled(graph: DataFrame, weights: str = "uniform") -> DataFrame:
+    """Where a random walk on the symmetrized graph ends, in closed form: (node, p), in proportion to the weights of a node's edges.
+
+    A graph of several parts has more ends than this one; they differ by a factor a part, so that neighbours compare alike.
+    """
+    at = weighted_edges(graph, weights).groupBy(F.col("src").alias("node")).agg(F.sum("w").alias("t"))
+    return at.crossJoin(F.broadcast(at.agg(F.sum("t").alias("all")))).select("node", (F.col("t") / F.col("all")).alias("p"))
+
+
 def modes(graph: DataFrame, p: DataFrame, strict: bool = True) -> DataFrame:
     """Nodes no neighbour of which is likelier: (node, p, is_mode). strict: equal neighbours of smaller id win."""
     near = graph.select("src", "dst").join(p.select(F.col("node").alias("dst"), F.col("p").alias("pn")), "dst")

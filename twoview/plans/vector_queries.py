@@ -844,7 +844,7 @@ def modes(spark: SparkSession, d: str) -> DataFrame:
 @query("mode_gallery")
 def mode_gallery(spark: SparkSession, d: str) -> DataFrame:
     g = _with_dir(_graph(spark, d))
-    return G.mode_gallery(g, G.modes(g, G.stationary(g, max_iter=8)), 3)
+    return G.mode_gallery(g, G.modes(g, G.settled(g)), 3)
 
 
 @query("graph_study")
