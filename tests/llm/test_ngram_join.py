@@ -95,3 +95,27 @@ def test_long_chain_is_one_component(spark):
     spark.sparkContext.setCheckpointDir("/tmp/twoview-test")
     got = {r.node: r.comp for r in components(edges).collect()}
     assert set(got.values()) == {0, 100} and len(got) == 63
+
+
+def test_a_document_links_by_any_of_its_texts(spark):
+    x, y = " ".join(f"x{i}" for i in range(30)), " ".join(f"y{i}" for i in range(30))
+    rows = [(5, x), (5, y), (7, x + " z"), (8, y + " z"), (9, "some other text that is alone here")]
+    docs = spark.createDataFrame([(*r, 1, "s") for r in rows], "doc_id long, text string, n long, token string")
+    assert {r.doc_id: r.component_id for r in J.ngram_components(docs).collect()} == {5: 5, 7: 5, 8: 5, 9: 9}
+
+
+def test_very_long_texts(spark):
+    long = " ".join(f"w{i % 7919}q{i}" for i in range(30_000))
+    docs = spark.createDataFrame([(1, long), (2, long + " more"), (3, long[: len(long) // 2]), (4, "short text")], "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in J.ngram_components(docs).collect()}
+    assert got[1] == (29_996, 1) and got[2] == (29_997, 1) and got[3][1] == 3 and got[4] == (1, 4)
+
+
+def test_ids_that_go_by_either_way(spark):
+    docs = spark.createDataFrame([(i, f"t{i}", i % 3) for i in range(500)], "doc_id long, text string, cls int").repartition(4)
+    gone = docs.where("doc_id % 7 = 3").selectExpr("doc_id AS _gone")
+    want = sorted(r.doc_id for r in docs.where("doc_id % 7 <> 3").collect())
+    for most in (10**6, 0):
+        out = J._without(docs, "doc_id", gone, most)
+        assert out.columns == docs.columns and sorted(r.doc_id for r in out.collect()) == want
+    assert J._without(docs, "doc_id", gone.limit(0), 0).count() == 500

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -9,6 +10,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import NumericType
 
 from twoview.llm.text import Chunk, column_chunks
 
@@ -19,12 +21,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors see, as the session names it; a temporary one only where none is set (tests)."""
-    path = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that all executors see, as the session names it; where none is set, a temporary one, on a single machine only."""
+    context = spark.sparkContext
+    path = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not path:
-        path = getattr(spark, "_twoview_shared", None) or tempfile.mkdtemp(prefix="twoview-")
-        spark._twoview_shared = path
-        spark.sparkContext.setCheckpointDir(path)
+        if not re.fullmatch(r"local(\[[^\]]*\])?", context.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        path = tempfile.mkdtemp(prefix="twoview-")
+        context.setCheckpointDir(path)
     return path
 
 
@@ -33,7 +37,16 @@ def written(df: DataFrame, name: str, **options: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/twoview/{name}-{uuid.uuid4().hex}"
     df.write.options(**{"compression": "zstd"} | options).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written = path
+    return out
+
+
+def delete(*tables: DataFrame) -> None:
+    """Removes tables that written made, once nothing will read them any more."""
+    for df in tables:
+        java = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(df._written)
+        java.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(java, True)
 
 
 def has_columns(df: DataFrame, *names: str) -> DataFrame:
@@ -69,18 +82,18 @@ def ranked(df: DataFrame, group: list[str], order: str, name: str, *, spread: in
     """df with the rank (from 0) of each row within its group by a bigint column, nulls first; ties in any order.
 
     Rows are ranked within ranges of the order column, at most spread of them, and each range starts after
-    the counts of those before it; so no group's rows meet in one task, however large it is.
+    the counts of those before it; so no group's rows meet in one task, however large it is. Rows without a value are
+    dealt by a hash of their other numbers. Rows move once: the starts meet them as the ranking dealt them.
     """
     ends = df.agg(F.min(order).alias("lo"), F.max(order).alias("hi")).first()
     lo = ends.lo or 0
     width = max(least, ((ends.hi or 0) - lo) // spread + 1)
-    cut = df.withColumn("_range", F.coalesce(F.floor((F.col(order) - F.lit(lo)) / width).cast("bigint"), F.lit(-1).cast("bigint")))
-    within = cut.withColumn("_nth", F.row_number().over(Window.partitionBy(*group, "_range").orderBy(order)) - 1)
-    counts = cut.groupBy(*group, "_range").agg(F.count("*").alias("_n"))
-    before = Window.partitionBy(*group).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.select(*[F.col(g).alias(f"_g{i}") for i, g in enumerate(group)], F.col("_range").alias("_r"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
-    same = F.col("_range") == F.col("_r")
-    for i, g in enumerate(group):
-        same = same & F.col(g).eqNullSafe(F.col(f"_g{i}"))
-    joined = within.join(starts, same)
-    return joined.withColumn(name, (F.col("_start") + F.col("_nth")).cast("bigint")).drop("_range", "_nth", "_r", "_start", *[f"_g{i}" for i in range(len(group))])
+    numbers = [f"`{f.name}`" for f in df.schema if f.name not in (*group, order) and isinstance(f.dataType, NumericType)]
+    none = -1 - F.pmod(F.xxhash64(*numbers), F.lit(spread)) if numbers else F.lit(-1).cast("bigint")
+    cut = df.withColumns({"_group": F.struct(*group), "_range": F.coalesce(F.floor((F.col(order) - F.lit(lo)) / width).cast("bigint"), none)})
+    within = cut.withColumn("_nth", F.row_number().over(Window.partitionBy("_group", "_range").orderBy(order)) - 1)
+    counts = cut.groupBy("_group", "_range").agg(F.count("*").alias("_n"))
+    before = Window.partitionBy("_group").orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.select(F.col("_group").alias("_g"), F.col("_range").alias("_r"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
+    joined = within.join(starts, (F.col("_group") == F.col("_g")) & (F.col("_range") == F.col("_r")))
+    return joined.withColumn(name, (F.col("_start") + F.col("_nth")).cast("bigint")).drop("_group", "_range", "_nth", "_g", "_r", "_start")

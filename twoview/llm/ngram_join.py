@@ -13,12 +13,12 @@ Equal sets are one class throughout. Any two sets that link share a prefix shing
 and meet: no link between components is lost.
 
 Shingles are 62-bit hashes; classes are 64-bit sums over sets, so that different ones agree by chance about
-once in 2**62 pairs. Memory: bit maps of a fixed size are sent out, which let surplus rows
-through when they fill up, and a sorted list of at most max_common common shingles, which only sets the order.
+once in 2**62 pairs. Memory: bit maps are sent out, sized by a count of what they hold up to 64 MB (beyond that they let
+surplus rows through), and a sorted list of at most max_common common shingles, which only sets the order.
 
 Cases: null texts, and texts without words, have no shingles and are linked with nothing; with fewer words than
 the size the whole sequence is the one shingle. Rows without doc_id take no part in links and have no component.
-Rows of equal doc_id are one document that links by any of its texts. An empty table gives an empty result.
+Rows of equal doc_id are one document that links by any of its texts, which are joined by it. An empty table gives an empty result.
 Other columns are left out of account.
 """
 
@@ -33,14 +33,15 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from twoview.llm.base import has_columns, shared_dir, written
+from twoview.llm.base import delete, has_columns, shared_dir, written
 from twoview.llm.graphs import components
 from twoview.llm.text import Chunk, column_chunks, mix, shingle_sets
 
 NUM, DEN = 3, 4  # the similarity from which documents link
 COMMON = np.int64(1 << 62)
-SLOTS = 26
+SLOTS = 29  # of a bit map, at most, as a power of two
 BLOCK = 400_000  # shingles
+SENT = 2_000_000  # ids sent out whole, at most
 
 
 def _ceil(a: np.ndarray | int, b: int) -> np.ndarray | int:
@@ -84,35 +85,36 @@ def _lists(values: np.ndarray, bounds: np.ndarray, take: np.ndarray) -> pa.Array
 
 
 class BitMap:
-    """A set of longs that may hold more than was put in: two bits each of 2**SLOTS, whatever their number."""
+    """A set of longs that may hold more than was put in: two bits each of a power of two, at least 16 a long up to 2**SLOTS in all."""
 
     def __init__(self, words: np.ndarray) -> None:
         self.words = words
 
     @staticmethod
-    def _slots(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def _places(x: np.ndarray, slots: int) -> tuple[np.ndarray, np.ndarray]:
         h = mix(x.astype(np.uint64) + np.uint64(0x2545F4914F6CDD1D))
-        mask = np.uint64((1 << SLOTS) - 1)
+        mask = np.uint64(slots - 1)
         return (h & mask).astype(np.int64), ((h >> np.uint64(32)) & mask).astype(np.int64)
 
     @classmethod
-    def of(cls, df: DataFrame, column: str) -> BitMap:
-        """Built by Spark: each task maps its longs to words, and words meet by a bitwise or; 2**SLOTS / 64 words at most."""
+    def of(cls, df: DataFrame, column: str, most: int = SLOTS) -> BitMap:
+        """Built by Spark: each task maps its longs to words, and words meet by a bitwise or; 2**most / 64 words at most."""
+        slots = 1 << int(np.clip(np.ceil(np.log2(16 * max(df.count(), 1))), 10, most))
 
         def words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                a, b = cls._slots(batch.column(0).to_numpy(zero_copy_only=False))
+                a, b = cls._places(batch.column(0).to_numpy(zero_copy_only=False), slots)
                 s = np.concatenate([a, b])
                 yield pa.RecordBatch.from_arrays([pa.array((s >> 6).astype(np.int32)), pa.array(np.uint64(1) << (s & 63).astype(np.uint64)).view(pa.int64())], names=["word", "bits"])
 
         rows = df.select(column).mapInArrow(words, "word int, bits bigint").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()
-        out = np.zeros(1 << (SLOTS - 6), np.uint64)
+        out = np.zeros(slots // 64, np.uint64)
         out[rows["word"].to_numpy()] = rows["bits"].to_numpy().view(np.uint64)
         return cls(out)
 
     def has(self, x: np.ndarray) -> np.ndarray:
         out = np.ones(len(x), bool)
-        for s in self._slots(x):
+        for s in self._places(x, 64 * len(self.words)):
             out &= (self.words[s >> 6] >> (s & 63).astype(np.uint64)) & np.uint64(1) == 1
         return out
 
@@ -230,7 +232,8 @@ def _linked(members: DataFrame, source: DataFrame, ids: DataFrame, size: int, or
 
     Texts travel, being smaller than their sets. A group of B blocks sends each text to B pairs of blocks.
     """
-    groups = members.groupBy("a").agg(F.ceil(F.sum("n") / BLOCK).alias("parts"), F.count("*").alias("many")).where("many > 1").drop("many")
+    # written, so that a group with many members is a skewed side of a plain join, which Spark splits
+    groups = members.groupBy("a").agg(F.ceil(F.sum("n") / BLOCK).alias("parts"), F.count("*").alias("many")).where("many > 1").drop("many").checkpoint()
     own = F.pmod(F.xxhash64("cls"), F.col("parts"))
     dealt = members.join(groups, "a").select("a", "cls", own.alias("block"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)).alias("other"))
     asked = dealt.join(ids, "cls").select("doc_id", "cls", "a", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block").checkpoint()
@@ -246,7 +249,7 @@ def _linked(members: DataFrame, source: DataFrame, ids: DataFrame, size: int, or
 
 
 def _free(spark) -> None:
-    """Lets Spark drop the shuffle files of plans that nothing refers to any more."""
+    """Lets Spark drop the shuffle files of plans that nothing refers to any more; it has no call that deletes them outright."""
     gc.collect()
     spark.sparkContext._jvm.System.gc()
 
@@ -303,8 +306,6 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
         .agg(F.min("doc_id").alias("doc_id"))
         .checkpoint()
     )
-    ids_map = spark.sparkContext.broadcast(BitMap.of(active, "doc_id"))
-
     chosen = spark.sparkContext.broadcast(BitMap.of(active, "doc_id"))
 
     def second_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -317,9 +318,9 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
     again = source.where(F.col("doc_id").isNotNull())
     starts = written(again.mapInArrow(second_pass, "cls bigint, n bigint, `set` array<bigint>"), "prefixes", **{"parquet.enable.dictionary": "false"})
     by_first = [F.min("cls").alias("a"), F.max("cls").alias("z"), F.min_by("n", "cls").alias("n_a")]
-    groups = written(starts.select("cls", "n", F.explode("set").alias("token")).groupBy("token").agg(*by_first).where("a <> z").select("token"), "groups")
+    shown = written(starts.select("cls", "n", F.explode("set").alias("token")).groupBy("token").agg(*by_first).where("a <> z").select("token"), "groups")
     _free(spark)
-    group_map = spark.sparkContext.broadcast(BitMap.of(groups, "token"))
+    group_map = spark.sparkContext.broadcast(BitMap.of(shown, "token"))
 
     def grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -330,7 +331,7 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
             rows = pa.array(owner[hit])
             yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(tokens[hit])], names=["cls", "n", "token"])
 
-    rows = starts.mapInArrow(grouped, "cls bigint, n bigint, token bigint").join(groups, "token", "left_semi").checkpoint()
+    rows = starts.mapInArrow(grouped, "cls bigint, n bigint, token bigint").join(shown, "token", "left_semi").checkpoint()
     smallest = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * NUM / DEN) / 10))
     enough = rows.groupBy("cls", "n").agg(F.count("*").alias("hits")).where(F.col("hits") >= smallest).select("cls")
     rows = rows.join(enough, "cls", "left_semi").checkpoint()
@@ -339,14 +340,56 @@ def ngram_components(docs: DataFrame, *, size: int = 5, common: int = 16, max_co
     heads = under.select("a", F.col("a").alias("cls"), F.col("n_a").alias("n")).dropDuplicates(["a"])
     members = under.where("a <> cls").select("a", "cls", "n").unionAll(heads)
     _free(spark)
-    comp = components(_linked(members, source, active, size, order))
-
-    classes = sets.where((F.col("n") > 0) & F.col("doc_id").isNotNull()).groupBy("cls").agg(F.min("doc_id").alias("first"))
+    links = _linked(members, source, active, size, order)
+    narrow = written(sets.select("doc_id", "n", "cls"), "classes")
+    of_one = narrow.where((F.col("n") > 0) & F.col("doc_id").isNotNull())
+    several = of_one.groupBy("doc_id").agg(F.min("cls").alias("a"), F.max("cls").alias("z")).where("a <> z").select("doc_id", "a").checkpoint()
+    if not several.isEmpty():
+        links = links.unionAll(of_one.join(several, "doc_id").select("a", F.col("cls").alias("b")))
+    comp = components(links)
+    for sent in (order, tokens_map, chosen, group_map):
+        sent.destroy()
+    delete(sets, shared, starts, shown)
+
+    classes = of_one.groupBy("cls").agg(F.min("doc_id").alias("first"))
     linked_ids = classes.join(comp, classes.cls == comp.node, "left").select("cls", "first", F.coalesce("comp", "cls").alias("comp"))
     lowest = linked_ids.groupBy("comp").agg(F.min("first").alias("component_id"))
     found = linked_ids.join(lowest, "comp").select("cls", "component_id")
     return (
-        sets.select("doc_id", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("cls")).alias("cls"))
+        narrow.select("doc_id", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("cls")).alias("cls"))
         .join(found, "cls", "left")
         .select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
     )
+
+
+def one_of_each(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs, with all columns, that stay when of each group of linked documents one does: that of the smallest id.
+
+    Where ids are missing or repeated, rows are numbered and each is a document by itself, so that the first row stays.
+    Ids that go are few beside the texts. They are sent out while they are at most SENT; beyond that a bit map
+    tells the rows that may go, and only those texts move to meet them.
+    """
+    ids = docs.groupBy("doc_id").count()
+    key = "doc_id"
+    if not ids.where(F.col("doc_id").isNull() | (F.col("count") > 1)).isEmpty():
+        key = "_row"
+        docs = written(docs.withColumn(key, F.monotonically_increasing_id()), "numbered")
+    found = ngram_components(docs.select(F.col(key).alias("doc_id"), "text"), **options)
+    gone = found.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_gone")).checkpoint()
+    return _without(docs, key, gone, SENT).select(*[c for c in docs.columns if c != "_row"])
+
+
+def _without(docs: DataFrame, key: str, gone: DataFrame, most: int) -> DataFrame:
+    """The rows of docs whose key is not among gone (_gone)."""
+    if gone.count() <= most:
+        return docs.join(F.broadcast(gone), F.col(key) == F.col("_gone"), "left_anti")
+    known, at = docs.sparkSession.sparkContext.broadcast(BitMap.of(gone, "_gone")), docs.columns.index(key)
+
+    def part(maybe: bool):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                yield batch.filter(pa.array(known.value.has(batch.column(at).to_numpy()) == maybe))
+
+        return docs.mapInArrow(run, docs.schema)
+
+    return part(False).unionAll(part(True).join(gone, F.col(key) == F.col("_gone"), "left_anti"))

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from twoview.llm.base import map_chunks, written
-from twoview.llm.text import Chunk, span_hashes, windows
+from twoview.llm.text import Chunk, column_chunks, span_hashes, windows
 
 SYMBOLS = "#*$%&|<>"
 MIN_WORDS = 10
@@ -198,33 +198,54 @@ def calibrate(bins: list[tuple[int, int, int]], n_bins: int, max_clean_loss: flo
     return float(allowed[0] + caught[0] // 2) / n_bins if len(caught) else 2.0
 
 
-def quality_rules(
-    docs: DataFrame, labels: DataFrame, *, trees: int = 100, sample: int = 256, max_clean_loss: float = 0.0005, n_bins: int = 4096, seed: int = 7
-) -> DataFrame:
-    """Judge documents (doc_id, text) by rules and an isolation forest; labels (doc_id, quality) calibrate it.
+@dataclass
+class Judge:
+    """A forest and the score from which documents go; judges texts by themselves."""
 
-    The forest takes trees * sample rows at most, chosen by a hash over all documents, as its method defines; its
-    threshold comes from a histogram of all labelled rows' scores. Returns doc_id, the rules' counts, base_failed,
-    score, threshold, kept.
-    """
-    stats = written(map_chunks(docs, "text", ["doc_id"], rule_counts, RULES), "rules")
+    forest: IsolationForest | None
+    threshold: float
+
+    def scores(self, counts: dict[str, np.ndarray]) -> np.ndarray:
+        n = len(counts["n_words"])
+        return self.forest.score(features(counts)) if self.forest is not None and n else np.zeros(n)
+
+    def keeps(self, chunk: Chunk) -> np.ndarray:
+        counts = rule_counts(chunk)
+        return ~base_failed(counts["n_words"], counts["n_repeat_words"]) & (self.scores(counts) < self.threshold)
+
+
+def base_failed(n_words, n_repeat_words):
+    """The base rules, of arrays or columns."""
+    return (n_words < MIN_WORDS) | (100 * n_repeat_words > MAX_REPEAT_PERCENT * n_words)
+
+
+def _scored(stats: DataFrame, forest: IsolationForest | None) -> DataFrame:
+    """stats with each row's score and base_failed."""
     names = [n.split()[0] for n in RULES.split(", ")]
-    order = F.xxhash64("doc_id", *names)
-    bound = trees * sample
-    picked = stats.select(*names, order.alias("_o")).orderBy("_o").limit(bound).select(*names).toPandas()
-    spark = docs.sparkSession
-    forest = fit_forest(features({n: picked[n].to_numpy() for n in names}), trees, sample, seed) if len(picked) else None
-    sent = spark.sparkContext.broadcast(forest)
+    sent = stats.sparkSession.sparkContext.broadcast(Judge(forest, 0.0))
 
     def score(batches):
         for batch in batches:
             c = {n: batch.column(batch.schema.get_field_index(n)).to_numpy(zero_copy_only=False) for n in names}
-            s = sent.value.score(features(c)) if sent.value is not None and batch.num_rows else np.zeros(batch.num_rows)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(s)], names=[*batch.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(sent.value.scores(c))], names=[*batch.schema.names, "score"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in stats.schema) + ", score double"
-    scored = stats.mapInArrow(score, schema)
-    scored = scored.withColumn("base_failed", (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words")))
+    return stats.mapInArrow(score, schema).withColumn("base_failed", base_failed(F.col("n_words"), F.col("n_repeat_words")))
+
+
+def _fit(stats: DataFrame, labels: DataFrame, trees: int, sample: int, max_clean_loss: float, n_bins: int, seed: int) -> tuple[Judge, DataFrame]:
+    """A judge from the rules' counts of all documents, and the scored counts.
+
+    The sample is a hash threshold first, by a count of all rows, so that about twice its rows are sorted.
+    """
+    names = [n.split()[0] for n in RULES.split(", ")]
+    bound = trees * sample
+    order = F.xxhash64("doc_id", *names)
+    share = min(1.0, 2.0 * bound / max(stats.count(), 1))
+    near = stats.select("doc_id", *names, order.alias("_o")).where(F.pmod(F.xxhash64("_o"), F.lit(1 << 20)) <= int(share * (1 << 20)))
+    picked = near.orderBy("_o").limit(bound).select(*names).toPandas()
+    forest = fit_forest(features({n: picked[n].to_numpy() for n in names}), trees, sample, seed) if len(picked) else None
+    scored = _scored(stats, forest)
     known = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     bins = (
         scored.where(~F.col("base_failed"))
@@ -232,5 +253,37 @@ def quality_rules(
         .groupBy(F.floor(F.col("score") * n_bins).cast("int").alias("bin"))
         .agg(F.count_if(F.col("quality") > 0).alias("good"), F.count_if(F.col("quality") <= 0).alias("bad"))
     )
-    threshold = calibrate([(r.bin, r.good, r.bad) for r in bins.collect()], n_bins, max_clean_loss)
-    return scored.withColumns({"threshold": F.lit(threshold), "kept": ~F.col("base_failed") & (F.col("score") < F.lit(threshold))})
+    return Judge(forest, calibrate([(r.bin, r.good, r.bad) for r in bins.collect()], n_bins, max_clean_loss)), scored
+
+
+def quality_rules(
+    docs: DataFrame, labels: DataFrame, *, trees: int = 100, sample: int = 256, max_clean_loss: float = 0.0005, n_bins: int = 4096, seed: int = 7
+) -> DataFrame:
+    """Judge documents (doc_id, text) by rules and an isolation forest; labels (doc_id, quality) calibrate it.
+
+    The forest takes trees * sample rows at most, chosen by a hash over all documents, as its method defines; its
+    threshold comes from a histogram of all labelled rows' scores. Returns doc_id, the rules' counts, base_failed,
+    score, threshold, kept.
+    """
+    stats = written(map_chunks(docs, "text", ["doc_id"], rule_counts, RULES), "rules")
+    judge, scored = _fit(stats, labels, trees, sample, max_clean_loss, n_bins, seed)
+    return scored.withColumns({"threshold": F.lit(judge.threshold), "kept": ~F.col("base_failed") & (F.col("score") < F.lit(judge.threshold))})
+
+
+def kept_documents(
+    docs: DataFrame, labels: DataFrame, *, trees: int = 100, sample: int = 256, max_clean_loss: float = 0.0005, n_bins: int = 4096, seed: int = 7
+) -> DataFrame:
+    """The rows of docs, with all columns, that quality_rules keeps; every row is judged by its own text, whatever its id.
+
+    Texts are read a second time and judged where they are, so that none goes through a shuffle.
+    """
+    stats = written(map_chunks(docs, "text", ["doc_id"], rule_counts, RULES), "rules")
+    judge, _ = _fit(stats, labels, trees, sample, max_clean_loss, n_bins, seed)
+    sent, at = docs.sparkSession.sparkContext.broadcast(judge), docs.columns.index("text")
+
+    def run(batches):
+        for batch in batches:
+            keep = [sent.value.keeps(chunk) for chunk in column_chunks(batch.column(at))]
+            yield batch.filter(pa.array(np.concatenate(keep))) if keep else batch
+
+    return docs.mapInArrow(run, docs.schema)
