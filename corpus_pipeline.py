@@ -9,41 +9,36 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from twoview.llm.base import table, written
 from twoview.llm.mixing import mix_sources
-from twoview.llm.ngram_join import ngram_components
+from twoview.llm.ngram_join import one_of_each
 from twoview.llm.packing import pack_documents
-from twoview.llm.private_data import masked, private_data
-from twoview.llm.quality_rules import quality_rules
-
-
-def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows of docs whose doc_id is among ids (doc_id); a missing id equals a missing id."""
-    wanted = ids.select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(wanted, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+from twoview.llm.private_data import masked
+from twoview.llm.quality_rules import kept_documents
 
 
 def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that fail the base rules or that the isolation forest sets apart."""
-    return _only(docs, quality_rules(docs, table(spark, sf_dir, "labels")).where("kept"))
+    """Drops documents that fail the base rules or that the isolation forest sets apart.
+
+    Each row is judged by its own text: null and empty texts go, rows without id or of equal ids are told apart.
+    """
+    return kept_documents(docs, table(spark, sf_dir, "labels"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the smallest id of each group of near duplicates, one row an id; rows without id stay."""
-    found = ngram_components(docs)
-    kept = _only(docs, found.where(F.col("component_id").isNull() | (F.col("doc_id") == F.col("component_id"))))
-    if docs.where(F.col("doc_id").isNotNull()).groupBy("doc_id").count().where("count > 1").isEmpty():
-        return kept
-    nth = F.row_number().over(Window.partitionBy("doc_id", F.when(F.col("doc_id").isNull(), F.xxhash64("text"))).orderBy("text"))
-    return kept.withColumn("_nth", nth).where(F.col("doc_id").isNull() | (F.col("_nth") == 1)).drop("_nth")
+    """Keeps the document of the smallest id of each group of near duplicates; texts without words stay.
+
+    Where ids are missing or repeated, every row is a document by itself, and the first row of a group stays.
+    """
+    return one_of_each(docs)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Replaces personal data by its kind, and sets n_chars anew."""
-    hidden = masked(docs, private_data(docs))
+    """Replaces personal data of every row by its kind, and sets n_chars anew; null texts stay null."""
+    hidden = masked(docs)
     return hidden.withColumn("n_chars", F.length("text").cast("bigint")).select(*docs.columns) if "n_chars" in docs.columns else hidden
 
 
