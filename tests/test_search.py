@@ -56,7 +56,7 @@ def test_two_stages_nest(spark, world):
     both = c.crossJoin(p).select(E.hamming([F.col("w0")], [F.col("q0")]).alias("h"), E.mismatch([F.col("w0")], [F.col("q0")], m.spec).alias("n"))
     assert both.where("h < n OR h > 4 * n").isEmpty()
     assert S.two_stage_at_least(p, c, m, 5, 10, 5).groupBy("qid").count().where("count < 5").isEmpty()
-    one = S.search_one(V.collect_matrix(s.query, 1)[1][0], c, m, 5, 64).collect()
+    one = S.search_one(V.lowest_ids(s.query, 1)[1][0], c, m, 5, 64).collect()
     first = min(r.qid for r in p.select("qid").collect())
     assert [r.vec_id for r in one] == [v for q, _, v, _ in rows(S.adc_knn(p, c, m, 5)) if q == first]
 

@@ -110,8 +110,24 @@ def apply_map(df: DataFrame, linear: LinearMap, engine: str = "arrow") -> DataFr
 
 
 def collect_matrix(df: DataFrame, limit: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
-    """Ids and vectors of at most limit rows, ascending by id; for training sets of a bounded size."""
-    got = df.select("vec_id", doubles().alias("embedding")).orderBy("vec_id").limit(limit).toArrow()
+    """Ids and vectors, ascending by id, of all rows or of limit rows where there are more: those of the least hashes of their ids.
+
+    For training sets of a bounded size. A hash threshold, from the count, comes before the sort, so that about a
+    tenth more than limit rows are sorted.
+    """
+    rows = df.select("vec_id", doubles().alias("embedding"))
+    n = df.count()
+    if n > limit:
+        share = min(1.0, (1.1 * limit + 100) / n)
+        h = F.xxhash64("vec_id")
+        rows = rows.where(F.pmod(h, F.lit(1 << 30)) < int(share * (1 << 30))).orderBy(F.pmod(h, F.lit(1 << 30)), "vec_id").limit(limit)
+    got = rows.toArrow().sort_by("vec_id")
+    return got["vec_id"].to_numpy(), matrix(got["embedding"])
+
+
+def lowest_ids(df: DataFrame, rows: int) -> tuple[np.ndarray, np.ndarray]:
+    """The rows of the lowest ids, ascending."""
+    got = df.select("vec_id", doubles().alias("embedding")).orderBy("vec_id").limit(rows).toArrow()
     return got["vec_id"].to_numpy(), matrix(got["embedding"])
 
 
@@ -119,3 +135,11 @@ def training_sample(df: DataFrame, rows: int, total: int | None = None) -> DataF
     """About rows rows chosen by a hash of the id, the same ones each time."""
     n = df.count() if total is None else total
     return df if n <= rows else df.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30)) < int(rows / n * (1 << 30)))
+
+
+def stratified_sample(df: DataFrame, by: str, rows: int) -> DataFrame:
+    """About rows rows of each value of a column, chosen by a hash of the id; all of those with fewer. Counts are one row a value."""
+    counts = df.groupBy(F.col(by).alias("_by")).agg(F.count("*").alias("_n"))
+    share = F.least(F.lit(1.0), F.lit(float(rows)) / F.col("_n"))
+    near = F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30)) < share * (1 << 30)
+    return df.join(F.broadcast(counts), F.col(by).eqNullSafe(F.col("_by"))).where(near).drop("_by", "_n")

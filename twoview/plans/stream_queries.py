@@ -9,7 +9,8 @@ from twoview.operators import quantize as Q
 from twoview.operators import search as S
 from twoview.plans import sqlkit as K
 from twoview.plans.registry import query
-from twoview.plans.vector_queries import _ADC, COMMON, _first, _round
+from twoview.plans.vector_queries import _ENC, COMMON, TAU, _first, _round
+from twoview.sources import vectors as src
 from twoview.streaming import streams as T
 
 
@@ -19,13 +20,13 @@ def stream_ingest(spark: SparkSession, d: str) -> DataFrame:
     return T.run_append(T.ingest(T.table_stream(spark, d, "embeddings"), model))
 
 
-@query("stream_topk", _ADC)
+@query("stream_topk", K.with_(*_ENC, K.words(4), K.adc_pairs(64, 16), f"kept AS (SELECT adc.* FROM adc JOIN wrd a ON a.vec_id = qid JOIN wrd b ON b.vec_id = adc.vec_id WHERE {K.ham('a.w', 'b.w')} <= {TAU})") + K.top("kept", 10))
 def stream_topk(spark: SparkSession, d: str) -> DataFrame:
     """Standing queries over arriving base vectors, their ten best kept up."""
     s, model = _first(spark, d)
     prepared = S.prepare_queries(s.query, model)
     arriving = T.table_stream(spark, d, "embeddings").where("vec_id % 10 >= 4")
-    return _round(T.running_topk(T.standing_queries(Q.encode(arriving, model), prepared, model, 64), 10))
+    return _round(T.running_topk(T.standing_queries(Q.encode(arriving, model), prepared, model, TAU), 10))
 
 
 @query("stream_windows", "SELECT user_id, date_trunc('day', ts) AS day, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2")
@@ -56,13 +57,19 @@ def stream_sessions(spark: SparkSession, d: str) -> DataFrame:
     return out.select("user_id", *[F.col(c).cast("timestamp_ntz").alias(c) for c in ("start", "finish")], "n_events")
 
 
-@query("stream_user_vectors", "SELECT count(*) AS windows, sum(n) AS n_events FROM (SELECT user_id, date_trunc('day', ts), count(*) AS n FROM events GROUP BY 1, 2)")
+@query(
+    "stream_user_vectors",
+    """WITH k AS (SELECT DISTINCT event_type FROM events), u AS (SELECT user_id, date_trunc('day', ts) AS start, count(*) AS n, avg(value) / 100 AS mean, coalesce(stddev_pop(value), 0) / 100 AS dev,
+    count(*) FILTER (WHERE dayofweek(ts) BETWEEN 1 AND 5) / count(*) AS week FROM events GROUP BY 1, 2),
+    e AS (SELECT user_id, date_trunc('day', ts) AS start, event_type, count(*) AS c FROM events GROUP BY 1, 2, 3),
+    s AS (SELECT user_id, start, event_type, coalesce(c, 0) / n AS x FROM u CROSS JOIN k LEFT JOIN e USING (user_id, start, event_type))
+    SELECT user_id AS vec_id, start, (row_number() OVER (PARTITION BY user_id, start ORDER BY event_type) - 1)::INTEGER AS k, round(x, 6) AS x FROM s
+    UNION ALL SELECT user_id, start, ((SELECT count(*) FROM k) + z)::INTEGER, round([mean, dev, week][z + 1], 6) FROM u, range(3) t(z)""",
+)
 def stream_user_vectors(spark: SparkSession, d: str) -> DataFrame:
-    """Daily user vectors; the first component times the window's events must add up to all events."""
-    types = [r.event_type for r in spark.read.parquet(f"{d}/events.parquet").select("event_type").distinct().orderBy("event_type").collect()]
-    v = T.run_complete(T.windowed_users(T.table_stream(spark, d, "events"), types))
-    per = spark.read.parquet(f"{d}/events.parquet").groupBy(F.col("user_id").alias("vec_id"), F.date_trunc("day", F.col("ts").cast("timestamp")).alias("start")).agg(F.count("*").alias("n"))
-    return v.join(per, ["vec_id", "start"]).agg(F.count("*").alias("windows"), F.sum("n").cast("decimal(38,0)").alias("n_events"))
+    """Daily user vectors, every component."""
+    v = T.run_complete(T.windowed_users(T.table_stream(spark, d, "events"), src.event_types(spark.read.parquet(f"{d}/events.parquet"))))
+    return v.select("vec_id", F.col("start").cast("timestamp_ntz").alias("start"), F.posexplode("embedding").alias("k", "x")).select("vec_id", "start", F.col("k").cast("int").alias("k"), F.round("x", 6).alias("x"))
 
 
 @query("stream_dedup", "SELECT count(DISTINCT event_id) AS n FROM events")
@@ -72,10 +79,10 @@ def stream_dedup(spark: SparkSession, d: str) -> DataFrame:
     return T.run_append(T.deduplicated(e.unionAll(e)).select("event_id")).agg(F.count("*").alias("n"))
 
 
-@query("stream_interval_join", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'search' OR a.event_id % 5 = 0")
+@query("stream_interval_join", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
 def stream_interval_join(spark: SparkSession, d: str) -> DataFrame:
     e = T.table_stream(spark, d, "events")
-    return T.run_append(T.pairs_within(e.where("event_type = 'search' OR event_id % 5 = 0"), T.table_stream(spark, d, "events")))
+    return T.run_append(T.pairs_within(e, T.table_stream(spark, d, "events")))
 
 
 @query("stream_drift")

@@ -54,6 +54,11 @@ def _round(df: DataFrame) -> DataFrame:
     return df.select("qid", "vec_id", F.round("score", 6).alias("score"), F.col("rk").cast("int").alias("rk"))
 
 
+def _components(v: DataFrame) -> DataFrame:
+    """All components of all vectors, one row each."""
+    return v.select("vec_id", F.posexplode("embedding").alias("k", "x")).select("vec_id", F.col("k").cast("int").alias("k"), (F.round("x", 6) + 0.0).alias("x"))
+
+
 # preparation
 
 
@@ -73,51 +78,55 @@ def l2_norms(spark: SparkSession, d: str) -> DataFrame:
 _LETTER = "[(length(lower(t)) - length(replace(lower(t), c, ''))) / greatest(length(t), 1) for c in ['" + "','".join(src.LETTERS) + "']]"
 
 
-@query("letter_vectors", f"SELECT doc_id AS vec_id, round(list_sum([z.v * z.i for z in [{{'v': l[j], 'i': j}} for j in range(1, 25)]]), 6) AS total FROM (SELECT doc_id, {_LETTER} AS l FROM (SELECT doc_id, text AS t FROM documents))")
+@query("letter_vectors", f"SELECT doc_id AS vec_id, k::INTEGER AS k, round(l[k + 1], 6) AS x FROM range(24) r(k), (SELECT doc_id, {_LETTER} AS l FROM (SELECT doc_id, text AS t FROM documents))")
 def letter_vectors(spark: SparkSession, d: str) -> DataFrame:
-    w = F.aggregate(F.transform("embedding", lambda v, i: v * (i + 1)), F.lit(0.0), lambda s, v: s + v)
-    return src.letters(spark, d).select("vec_id", F.round(w, 6).alias("total"))
+    return _components(src.letters(spark, d))
 
 
-@query("conv_vectors", f"SELECT conv_id AS vec_id, round(list_sum({_LETTER}), 6) AS total FROM (SELECT conv_id, string_agg(text, ' ' ORDER BY turn, text) AS t FROM conversations GROUP BY conv_id)")
+@query("conv_vectors", f"SELECT conv_id AS vec_id, k::INTEGER AS k, round({_LETTER}[k + 1], 6) AS x FROM range(24) r(k), (SELECT conv_id, string_agg(text, ' ' ORDER BY turn, text) AS t FROM conversations GROUP BY conv_id)")
 def conv_vectors(spark: SparkSession, d: str) -> DataFrame:
-    return src.convs(spark, d).select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda s, v: s + v), 6).alias("total"))
+    return _components(src.convs(spark, d))
 
 
-@query("page_vectors", f"SELECT page_id AS vec_id, round(list_sum({_LETTER}), 6) AS total FROM (SELECT page_id, regexp_replace(html, '<[^>]*>', '', 'g') AS t FROM pages)")
+@query("page_vectors", f"SELECT page_id AS vec_id, k::INTEGER AS k, round({_LETTER}[k + 1], 6) AS x FROM range(24) r(k), (SELECT page_id, regexp_replace(html, '<[^>]*>', '', 'g') AS t FROM pages)")
 def page_vectors(spark: SparkSession, d: str) -> DataFrame:
-    return src.web(spark, d).select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda s, v: s + v), 6).alias("total"))
+    return _components(src.web(spark, d))
 
 
 @query(
     "word_vectors",
     """WITH w AS (SELECT doc_id AS vec_id, md5(unnest(string_split(lower(text), ' '))) AS h FROM documents),
-    p AS (SELECT vec_id, ('0x' || substr(h, 1, 4))::BIGINT % 64 AS d, sum(CASE WHEN substr(h, 5, 1) >= '8' THEN -1.0 ELSE 1.0 END)::DOUBLE AS v FROM w GROUP BY 1, 2)
-    SELECT vec_id, round(sum(v * (d + 1)) / sqrt(sum(v * v)), 6) AS total FROM p GROUP BY vec_id""",
+    p AS (SELECT vec_id, ('0x' || substr(h, 1, 4))::BIGINT % 64 AS d, sum(CASE WHEN substr(h, 5, 1) >= '8' THEN -1.0 ELSE 1.0 END)::DOUBLE AS v FROM w GROUP BY 1, 2),
+    n AS (SELECT vec_id, sqrt(sum(v * v)) AS n FROM p GROUP BY vec_id)
+    SELECT vec_id, k::INTEGER AS k, round(coalesce(v, 0) / greatest(n, 1e-9), 6) + 0.0 AS x FROM n CROSS JOIN range(64) r(k) LEFT JOIN p USING (vec_id) WHERE p.d = k
+    UNION ALL SELECT vec_id, k::INTEGER, 0.0 FROM n, range(64) r(k) WHERE NOT EXISTS (SELECT 1 FROM p WHERE p.vec_id = n.vec_id AND p.d = k)""",
 )
 def word_vectors(spark: SparkSession, d: str) -> DataFrame:
-    w = F.aggregate(F.transform("embedding", lambda v, i: v * (i + 1)), F.lit(0.0), lambda s, v: s + v)
-    return src.words(spark, d).select("vec_id", F.round(w, 6).alias("total"))
+    return _components(src.words(spark, d))
 
 
 @query(
     "user_vectors",
-    """SELECT user_id AS vec_id, round(avg(value) / 100, 6) AS mean_value, round(coalesce(stddev_pop(value), 0) / 100, 6) AS spread,
-    round(count(*) FILTER (WHERE dayofweek(ts) BETWEEN 1 AND 5) / count(*), 6) AS week_share FROM events GROUP BY user_id""",
+    """WITH k AS (SELECT DISTINCT event_type FROM events), u AS (SELECT user_id, count(*) AS n, avg(value) / 100 AS mean, coalesce(stddev_pop(value), 0) / 100 AS dev,
+    count(*) FILTER (WHERE dayofweek(ts) BETWEEN 1 AND 5) / count(*) AS week FROM events GROUP BY user_id),
+    s AS (SELECT user_id, event_type, count(e.event_id) / n AS x FROM u CROSS JOIN k LEFT JOIN events e USING (user_id, event_type) GROUP BY user_id, event_type, n)
+    SELECT user_id AS vec_id, (row_number() OVER (PARTITION BY user_id ORDER BY event_type) - 1)::INTEGER AS k, round(x, 6) AS x FROM s
+    UNION ALL SELECT user_id, ((SELECT count(*) FROM k) + z)::INTEGER, round([mean, dev, week][z + 1], 6) FROM u, range(3) t(z)""",
 )
 def user_vectors(spark: SparkSession, d: str) -> DataFrame:
-    e = F.col("embedding")
-    return src.users(spark, d).select("vec_id", *[F.round(F.element_at(e, i), 6).alias(n) for i, n in ((-3, "mean_value"), (-2, "spread"), (-1, "week_share"))])
+    return src.users(spark, d).select("vec_id", F.posexplode("embedding").alias("k", "x")).select("vec_id", F.col("k").cast("int").alias("k"), F.round("x", 6).alias("x"))
 
 
 @query(
     "standardize_lines",
-    """WITH t AS (SELECT l_quantity AS q, year(l_shipdate)::DOUBLE AS y FROM lineitem), s AS (SELECT avg(q) AS mq, stddev_pop(q) AS sq, avg(y) AS my, stddev_pop(y) AS sy FROM t)
-    SELECT round((q - mq) / sq, 4) + 0.0 AS zq, round((y - my) / sy, 4) + 0.0 AS zy, count(*) AS n FROM t, s GROUP BY 1, 2""",
+    """WITH t AS (SELECT [l_quantity, l_tax, l_extendedprice, l_discount, year(l_shipdate), dayofyear(l_shipdate), l_partkey, l_suppkey]::DOUBLE[] AS x FROM lineitem),
+    s AS (SELECT k, avg(x[k + 1]) AS m, stddev_pop(x[k + 1]) AS d FROM t, range(8) r(k) GROUP BY k)
+    SELECT k::INTEGER AS k, round((x[k + 1] - m) / d, 4) + 0.0 AS z, count(*) AS n FROM t, s GROUP BY 1, 2""",
 )
 def standardize_lines(spark: SparkSession, d: str) -> DataFrame:
-    e = F.col("embedding")
-    return src.lines(spark, d).groupBy((F.round(F.get(e, 0), 4) + 0.0).alias("zq"), (F.round(F.get(e, 4), 4) + 0.0).alias("zy")).agg(F.count("*").alias("n"))
+    """All eight z-scores of all lines, as the count of each value of each."""
+    z = src.lines(spark, d).select(F.posexplode("embedding").alias("k", "z"))
+    return z.groupBy(F.col("k").cast("int").alias("k"), (F.round("z", 4) + 0.0).alias("z")).agg(F.count("*").alias("n"))
 
 
 @query("validate_vectors", "SELECT count(*) AS ok, 0::BIGINT AS rejected FROM embeddings")
@@ -131,10 +140,9 @@ def subvector_slices(spark: SparkSession, d: str) -> DataFrame:
     return V.subvectors(src.emb(spark, d), 16, 64).select("vec_id", F.col("m").cast("int").alias("m"), F.round(F.aggregate("sub", F.lit(0.0), lambda s, v: s + v), 6).alias("total"))
 
 
-@query("gram_matrix", K.with_(K.vectors()) + "SELECT (i-1)::INTEGER AS i, (j-1)::INTEGER AS j, round(sum(e[i]*e[j]), 6) AS v FROM v, range(1, 9) a(i), range(1, 9) b(j) WHERE i <= j GROUP BY i, j")
+@query("gram_matrix", K.with_(K.vectors()) + "SELECT (i-1)::INTEGER AS i, (j-1)::INTEGER AS j, round(sum(e[i]*e[j]), 6) AS v FROM v, range(1, 65) a(i), range(1, 65) b(j) WHERE i <= j GROUP BY i, j")
 def gram_matrix(spark: SparkSession, d: str) -> DataFrame:
-    first = src.emb(spark, d).select("vec_id", F.slice("embedding", 1, 8).alias("embedding"))
-    return L.gram_sql(first).select(F.col("i").cast("int").alias("i"), F.col("j").cast("int").alias("j"), F.round("v", 6).alias("v"))
+    return L.gram_sql(src.emb(spark, d)).select(F.col("i").cast("int").alias("i"), F.col("j").cast("int").alias("j"), F.round("v", 6).alias("v"))
 
 
 @query("pca_variances")
@@ -149,14 +157,14 @@ _ROT = L.random_rotation(64, 3)
 
 
 def _rotation_sql() -> str:
-    rows = ", ".join(f"({j}, [" + ", ".join(repr(float(x)) for x in _ROT.matrix[:, j]) + "])" for j in range(4))
+    rows = ", ".join(f"({j}, [" + ", ".join(repr(float(x)) for x in _ROT.matrix[:, j]) + "])" for j in range(64))
     return K.with_(K.vectors(), f"r(j, c) AS (VALUES {rows})") + "SELECT vec_id, j::INTEGER AS j, round(list_sum([e[z]*c[z] for z in range(1, 65)]), 6) AS x FROM v, r"
 
 
 @query("rotate", _rotation_sql())
 def rotate(spark: SparkSession, d: str) -> DataFrame:
     out = V.apply_map(src.emb(spark, d), _ROT)
-    return out.select("vec_id", F.posexplode(F.slice("embedding", 1, 4)).alias("j", "x")).select("vec_id", F.col("j").cast("int").alias("j"), F.round("x", 6).alias("x"))
+    return out.select("vec_id", F.posexplode("embedding").alias("j", "x")).select("vec_id", F.col("j").cast("int").alias("j"), F.round("x", 6).alias("x"))
 
 
 # quantizer
@@ -513,11 +521,11 @@ def two_stage_mismatch(spark: SparkSession, d: str) -> DataFrame:
 
 @query(
     "two_stage_rerank",
-    K.with_(*_ENC, K.adc_pairs(64, 16), "s AS (SELECT qid, vec_id FROM adc QUALIFY row_number() OVER (PARTITION BY qid ORDER BY score, vec_id) <= 30)", f"p AS (SELECT s.qid, s.vec_id, {K.sqd('e', 'q', 64)} AS score FROM s JOIN base USING (vec_id) JOIN qry USING (qid))") + K.top("p", 10),
+    K.with_(*_ENC, K.words(4), K.adc_pairs(64, 16), f"s AS (SELECT qid, adc.vec_id FROM adc JOIN wrd a ON a.vec_id = qid JOIN wrd b ON b.vec_id = adc.vec_id WHERE {K.ham('a.w', 'b.w')} <= {TAU} QUALIFY row_number() OVER (PARTITION BY qid ORDER BY score, adc.vec_id) <= 30)", f"p AS (SELECT s.qid, s.vec_id, {K.sqd('e', 'q', 64)} AS score FROM s JOIN base USING (vec_id) JOIN qry USING (qid))") + K.top("p", 10),
 )
 def two_stage_rerank(spark: SparkSession, d: str) -> DataFrame:
     s, model, p, c = _ready(spark, d)
-    return _round(S.rerank(S.two_stage_knn(p, c, model, 30, 64), s.query, s.base, 10))
+    return _round(S.rerank(S.two_stage_knn(p, c, model, 30, TAU), s.query, s.base, 10))
 
 
 @query("hamming_range", K.with_(*_ENC, K.words(4, "gray")) + f"SELECT a.vec_id AS qid, b.vec_id, {K.ham('a.w', 'b.w')}::INTEGER AS h FROM wrd a, wrd b WHERE a.vec_id % 10 = 0 AND b.vec_id % 10 >= 4 AND {K.ham('a.w', 'b.w')} <= 22")
@@ -541,7 +549,7 @@ def two_stage_at_least(spark: SparkSession, d: str) -> DataFrame:
 @query("search_one")
 def search_one(spark: SparkSession, d: str) -> DataFrame:
     s, model, _, c = _ready(spark, d, "gray")
-    return S.search_one(V.collect_matrix(s.query, 1)[1][0], c, model, 10, TAU)
+    return S.search_one(V.lowest_ids(s.query, 1)[1][0], c, model, 10, TAU)
 
 
 @query("two_stage_foreign_bits")

@@ -73,9 +73,17 @@ def plane(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def users(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Per user: shares of five event types, mean and deviation of the value, share of week days."""
+    """Per user: shares of all event types, mean and deviation of the value, share of week days."""
     e = read_table(spark, sf_dir, "events")
-    return user_vectors(e.groupBy("user_id"), [r.event_type for r in e.select("event_type").distinct().orderBy("event_type").limit(5).collect()])
+    return user_vectors(e.groupBy("user_id"), event_types(e))
+
+
+def event_types(e: DataFrame, most: int = 1000) -> list[str]:
+    """All event types in order; over most of them are no set of dimensions."""
+    types = [r.event_type for r in e.select("event_type").distinct().orderBy("event_type").limit(most + 1).collect()]
+    if len(types) > most:
+        raise ValueError(f"more than {most} event types")
+    return types
 
 
 def user_vectors(grouped, types: list[str]) -> DataFrame:
