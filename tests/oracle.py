@@ -51,12 +51,13 @@ def main(d: str, wanted: list[str]) -> int:
     from pyspark.sql import SparkSession
 
     import __spark_entry__ as entry
+    from twoview.plans.registry import SQL, oracle_sql
 
     spark = (
         SparkSession.builder.master("local[4]").config("spark.sql.shuffle.partitions", "8").config("spark.ui.enabled", "false").config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "6g").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    con, sql, failed = duck(d), entry.oracle_sql(), 0
+    con, sql, failed = duck(d), oracle_sql(d) | {k: v for k, v in entry.oracle_sql().items() if k not in SQL}, 0
     for name, fn in entry.queries().items():
         if (wanted and name not in wanted) or (not wanted and (name[:2] == "op" and name[2].isdigit() or name == "pipeline")):
             continue

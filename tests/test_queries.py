@@ -4,11 +4,13 @@ import pytest
 
 import __spark_entry__ as entry
 from tests.oracle import differences, duck
+from twoview.plans.registry import oracle_sql
 
 D = "/root/testdata/sf0.001"
+SQL = {D: oracle_sql(D)}
 NAMES = [
     "two_stage_knn", "adc_knn", "sdc_knn", "mismatch_knn", "pack_words_gray", "lloyd_two_rounds", "loss_rank_all_gray", "kendall_affine", "recall_table", "tau_histogram", "graph_stats",
-    "walk_step", "range_join", "asof_join", "skew_salted_join", "stream_sessions", "stream_interval_join", "stream_drift",
+    "learned_two_stage", "learned_numbering", "swap_delta_rank", "ivf_search_dealt", "knn_graph", "graph_descent", "residual_search", "probe_cells_udtf", "stream_late", "walk_step", "range_join", "asof_join", "skew_salted_join", "stream_sessions", "stream_interval_join", "stream_drift",
 ]
 
 
@@ -19,7 +21,7 @@ def con():
 
 @pytest.mark.parametrize("name", NAMES)
 def test_query(spark, con, name):
-    fn, sql = entry.queries()[name], entry.oracle_sql().get(name)
+    fn, sql = entry.queries()[name], SQL[D].get(name)
     if sql is None:
         assert fn(spark, D).count() > 0
     else:

@@ -265,3 +265,34 @@ def test_mode_queries_take_the_settled_walk(spark, monkeypatch, name):
 
     monkeypatch.setattr(G, "stationary", lambda *a, **k: pytest.fail("rounds that may not have settled"))
     assert entry.queries()[name](spark, "/root/testdata/sf0.001").count() > 0
+
+
+def test_dealt_search_sends_no_tables(spark):
+    """Vectors travel to cells, not look-up tables: no list but the raw vector is in an exchange before cells meet."""
+    s = V.split(src.emb(spark, D))
+    ix = I.fit_multi_index(s.train, 64, 3, Q.train_pq(s.train, 16, 4, dims=64))
+    plan = G.knn_graph(src.emb(spark, D), ix, 5, 4)._jdf.queryExecution().executedPlan().toString()
+    assert "lut" not in plan and "BroadcastNestedLoopJoin" not in plan and "CartesianProduct" not in plan
+
+
+def test_dealt_search_matches_the_join(spark):
+    s = V.split(src.emb(spark, D))
+    for residual in (False, True):
+        ix = I.fit_multi_index(s.train, 64, 3, Q.train_pq(s.train, 16, 4, dims=64), residual=residual)
+        coded = I.encode_cells(s.base, ix)
+        want = I.search_ivf(I.probe_cells(s.query, ix, 9), coded, ix, 6, 30)
+        assert rows(I.search_ivf_dealt(s.query, coded, ix, 6, 9, 30, code_rows=4, query_rows=3)) == rows(want)
+
+
+def test_exact_ties_go_to_the_smaller_id(spark):
+    v = spark.createDataFrame([(i, [float(i % 3), 1.0]) for i in range(60)], "vec_id long, embedding array<double>").repartition(3)
+    got = S.exact_knn(v.where("vec_id = 0"), v, 25).orderBy("rk").collect()
+    assert [r.vec_id for r in got] == [*range(0, 60, 3), *range(1, 15, 3)]
+    own = S.exact_knn(v, v, 2, exclude_self=True).collect()
+    assert all(r.vec_id != r.qid for r in own) and len(own) == 120
+
+
+def test_samples_go_by_hash(spark):
+    v = spark.range(5000).selectExpr("id AS vec_id", "array(double(id), 1.0) AS embedding")
+    ids, x = V.collect_matrix(v, 500)
+    assert len(ids) == 500 and ids.max() > 4000 and (np.diff(ids) > 0).all() and (x[:, 0] == ids).all()

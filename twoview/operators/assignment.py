@@ -5,6 +5,7 @@ pi[i] is the number of centroid i, one slice at a time. Nothing here depends on
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -287,11 +288,13 @@ def make_loss(centroids: np.ndarray, b: int, construction: str, alpha: float | N
 
 def fit_assignment(
     spark: SparkSession, model: CodeModel, construction: str = "dist_assigned", *, alpha: float | None = 0.5, n_iter: int = 500_000, restarts: int = 1, seed: int = 0,
-    optimizer: str = "anneal", trace_every: int = 0,
+    optimizer: str = "anneal", trace_every: int = 0, snapshots: tuple[int, ...] = (),
 ) -> tuple[CodeModel, pd.DataFrame]:
     """Renumber a model: one task for each slice and restart, the best restart of each slice wins.
 
-    Returns the renumbered model and the trace (m, restart, iter, temperature, loss, accepted; the last row of each run is its end).
+    Returns the renumbered model and the trace (m, restart, iter, temperature, loss, accepted, seconds; the last row of
+    each run is its end). The model's info has the loss, the seconds of all runs together, and at each of
+    the snapshots the best numberings up to there.
     """
     spec, book = model.spec, model.codebook
     sent = spark.sparkContext.broadcast(book)
@@ -301,21 +304,28 @@ def fit_assignment(
             for m, r in zip(pdf["m"], pdf["restart"], strict=True):
                 loss = make_loss(sent.value[m], spec.b, construction, alpha)
                 s = seed * 1_000_003 + int(m) * 101 + int(r)
+                began, shots = time.perf_counter(), {}
                 if optimizer == "greedy":
                     begin = np.arange(spec.K) if r == 0 else np.random.default_rng(s).permutation(spec.K)
                     first = loss.full(begin)
                     pi, value, rounds = greedy_switch(loss, spec.K, start=begin)
                     trace = [(0, 0.0, first, 0), (rounds, 0.0, value, rounds)]
                 else:
-                    got = anneal(loss, spec.K, n_iter=n_iter, seed=s, trace_every=trace_every)
+                    got = anneal(loss, spec.K, n_iter=n_iter, seed=s, trace_every=trace_every, snapshots=snapshots)
+                    shots = got.snapshots
                     pi, value, trace = got.best, got.best_loss, [*(got.trace or [(0, 0.7, got.first_loss, 0)]), (n_iter, 0.0, got.best_loss, 0)]
-                yield pd.DataFrame([(m, r, it, t, v, a, None) for it, t, v, a in trace] + [(m, r, -1, 0.0, value, 0, pi.tolist())], columns=["m", "restart", "iter", "temperature", "loss", "accepted", "pi"])
+                took = time.perf_counter() - began
+                ends = [(m, r, -1, 0.0, value, 0, took, pi.tolist())] + [(m, r, -2 - it, 0.0, loss.full(p), 0, took, p.tolist()) for it, p in shots.items()]
+                yield pd.DataFrame([(m, r, it, t, v, a, took, None) for it, t, v, a in trace] + ends, columns=["m", "restart", "iter", "temperature", "loss", "accepted", "seconds", "pi"])
 
     grid = spark.range(spec.M * restarts).selectExpr(f"cast(id % {spec.M} as int) m", f"cast(id div {spec.M} as int) restart").repartition(spec.M * restarts, "m", "restart")
-    rows = grid.mapInPandas(run, "m int, restart int, iter bigint, temperature double, loss double, accepted bigint, pi array<int>").toPandas()
+    rows = grid.mapInPandas(run, "m int, restart int, iter bigint, temperature double, loss double, accepted bigint, seconds double, pi array<int>").toPandas()
     ends = rows[rows["iter"] == -1].sort_values(["m", "loss", "restart"]).groupby("m").first()
     out = model.relabelled(np.stack([np.array(ends.loc[m, "pi"]) for m in range(spec.M)]), construction)
     out.info["loss"] = float(ends["loss"].sum())
+    out.info["seconds"] = float(rows.loc[rows["iter"] == -1, "seconds"].sum())
+    won = rows.set_index(["m", "restart", "iter"])["pi"] if snapshots else None
+    out.info["snapshots"] = {it: np.stack([np.array(won.loc[(m, int(ends.loc[m, "restart"]), -2 - it)]) for m in range(spec.M)]) for it in snapshots}
     return out, rows[rows["iter"] >= 0].drop(columns="pi").reset_index(drop=True)
 
 

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from twoview.functions import expressions as E
-from twoview.operators.model import CodeModel, pack_words
+from twoview.operators.model import CodeModel, pack_words, unpack_words
 from twoview.operators.quantize import train_pq
 from twoview.operators.search import BROADCAST_BYTES, topk
 from twoview.operators.vectors import doubles, map_vectors, matrix
@@ -142,16 +142,92 @@ def probe_cells(queries: DataFrame, index: CoarseIndex, n_probe: int, quota: int
 def search_ivf(probes: DataFrame, coded: DataFrame, index: CoarseIndex, k: int, tau: int | None = None, n_probes: int | None = None) -> DataFrame:
     """Join on the cell, bit test as the rest of the condition, then look-ups.
 
-    The probe side is broadcast only while its counted size allows; else both sides are dealt by cell.
+    The probe side is broadcast only while its counted size allows. Beyond that the words of probes alone are dealt by
+    cell, and a query's table meets the pairs that are left; search_ivf_dealt makes tables where cells meet.
     """
     spec = index.codes.spec
     w, q = E.word_columns("w", spec.n_words), E.word_columns("q", spec.n_words)
-    cond = coded.cell == probes.cell
-    if tau is not None:
-        cond = cond & (E.hamming(w, q) <= tau)
+    test = E.hamming(w, q) <= tau if tau is not None else F.lit(True)
     size = (probes.count() if n_probes is None else n_probes) * (96 + 8 * spec.M * spec.K)
-    side = F.broadcast(probes) if size <= BROADCAST_BYTES else probes
-    return topk(coded.join(side, cond).select("qid", "vec_id", E.adc(w, F.col("lut"), spec).alias("score")), k)
+    if size <= BROADCAST_BYTES:
+        kept = coded.join(F.broadcast(probes), (coded.cell == probes.cell) & test)
+    else:
+        thin = probes.select("qid", F.col("cell").alias("_cell"), *[f"q{i}" for i in range(spec.n_words)])
+        kept = coded.join(thin, (F.col("cell") == F.col("_cell")) & test).drop("_cell")
+        by = ["qid", "cell"] if index.residual else ["qid"]
+        tables = probes.select(*by, "lut") if index.residual else probes.where("ord = 1").select(*by, "lut")
+        kept = kept.join(tables, by)
+    return topk(kept.select("qid", "vec_id", E.adc(w, F.col("lut"), spec).alias("score")), k)
+
+
+def _parts(rows: DataFrame, most: int) -> DataFrame:
+    """Cells of more than most rows, with the number of parts that they are cut into."""
+    return rows.groupBy("cell").agg(F.count("*").alias("_n")).where(F.col("_n") > most).select("cell", F.ceil(F.col("_n") / most).alias("parts"))
+
+
+def search_ivf_dealt(
+    queries: DataFrame, coded: DataFrame, index: CoarseIndex, k: int, n_probe: int, tau: int | None = None, *, code_rows: int = 65_536, query_rows: int = 16_384, exclude_self: bool = False
+) -> DataFrame:
+    """The search for any number of queries: raw vectors travel to the cells that they visit, and tables are made there.
+
+    A heavy cell's codes and queries are cut into parts, each part of the one meets each of the other in a task
+    of its own, so that no task holds more than code_rows codes and query_rows queries.
+    """
+    sent, spec = queries.sparkSession.sparkContext.broadcast(index), index.codes.spec
+
+    def visits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        coarse = sent.value.model.spec
+        for batch in batches:
+            if batch.num_rows:
+                tables = sent.value.model.tables(matrix(batch.column(1))).reshape(batch.num_rows, coarse.M, coarse.K)
+                near = [[c for _, c in probe_order(list(t), n_probe)] for t in tables]
+                rows = np.repeat(np.arange(batch.num_rows), [len(c) for c in near])
+                part = batch.take(pa.array(rows))
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array([c for cells in near for c in cells], pa.int64())], names=["qid", "x", "cell"])
+
+    asked = queries.select(F.col("vec_id").alias("qid"), doubles().alias("x")).mapInArrow(visits, "qid bigint, x array<double>, cell bigint")
+    many_codes, many_asked = _parts(coded, code_rows), _parts(asked, query_rows)
+    key = ["cell", "c_part", "q_part"]
+
+    def dealt(rows: DataFrame, id_col: str, own: DataFrame, own_name: str, other: DataFrame, other_name: str) -> DataFrame:
+        count = F.coalesce("parts", F.lit(1).cast("bigint"))
+        cut = rows.join(own, "cell", "left").withColumn(own_name, F.pmod(F.xxhash64(id_col), count)).drop("parts")
+        return cut.join(other, "cell", "left").withColumn(other_name, F.explode(F.sequence(F.lit(0).cast("bigint"), count - 1))).drop("parts")
+
+    left = dealt(asked, "qid", many_asked, "q_part", many_codes, "c_part")
+    right = dealt(coded, "vec_id", many_codes, "c_part", many_asked, "q_part")
+    words = [f"w{i}" for i in range(spec.n_words)]
+
+    def search(a: pa.Table, b: pa.Table) -> pa.Table:
+        qid, ids, score = [], [], []
+        if a.num_rows and b.num_rows:
+            ix, q, own = sent.value, matrix(a["x"]), b["vec_id"].to_numpy()
+            if ix.residual:
+                q = q - ix.center(a["cell"].to_numpy())
+            w = np.stack([b[c].to_numpy() for c in words], 1).view(np.uint64)
+            at = unpack_words(w, spec) + np.arange(spec.M) * spec.K
+            names = a["qid"].to_numpy()
+            for start in range(0, len(q), 256):
+                lut = ix.codes.tables(q[start : start + 256])
+                asked_words = pack_words(lut.reshape(len(lut), spec.M, spec.K).argmin(2), spec).view(np.uint64)
+                for r in range(len(lut)):
+                    name = names[start + r]
+                    keep = own != name if exclude_self else np.ones(len(own), bool)
+                    if tau is not None:
+                        keep &= np.bitwise_count(w ^ asked_words[r]).sum(1) <= tau
+                    rows = np.flatnonzero(keep)
+                    s = np.zeros(len(rows))
+                    for m in range(spec.M):
+                        s += lut[r][at[rows, m]]
+                    best = np.lexsort((own[rows], s))[:k]
+                    qid.append(np.full(len(best), name))
+                    ids.append(own[rows][best])
+                    score.append(s[best])
+        joined = [np.concatenate(v) if v else np.zeros(0, t) for v, t in ((qid, np.int64), (ids, np.int64), (score, float))]
+        return pa.table(dict(zip(("qid", "vec_id", "score"), joined, strict=True)))
+
+    found = left.groupBy(*key).cogroup(right.groupBy(*key)).applyInArrow(search, "qid bigint, vec_id bigint, score double")
+    return topk(found, k)
 
 
 def search_ivf_salted(probes: DataFrame, coded: DataFrame, index: CoarseIndex, k: int, tau: int | None = None, salts: int = 8) -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from twoview.functions import expressions as E
-from twoview.operators.coarse import CoarseIndex, encode_cells, probe_cells
+from twoview.operators.coarse import CoarseIndex, encode_cells, search_ivf_dealt
 from twoview.operators.vectors import doubles
 
 
@@ -28,36 +28,40 @@ def knn_graph_exact(df: DataFrame, k: int, tiles: int = 4) -> DataFrame:
     return _top(pairs.select("src", "dst", E.l2sq(F.col("a"), F.col("b")).alias("dist")), k)
 
 
-def knn_graph(df: DataFrame, index: CoarseIndex, k: int, n_probe: int, tau: int | None = None, side: str = "raw") -> DataFrame:
-    """Every vector asks the index for its k nearest but itself: a join on cells with the bit test, never all pairs.
+def knn_graph(df: DataFrame, index: CoarseIndex, k: int, n_probe: int, tau: int | None = None, side: str = "raw", **sizes: int) -> DataFrame:
+    """Every vector asks the index for its k nearest but itself: vectors travel to the cells that they visit, never all pairs.
 
-    side 'raw': estimates from the raw vector; 'code': from its own code, as when raw vectors are gone.
+    side 'raw': estimates from the raw vector; 'code': from its own code, as when raw vectors are gone. Tables are
+    made where a cell's codes and its visitors meet, and heavy cells are cut on both sides (sizes, of search_ivf_dealt).
     """
-    spec = index.codes.spec
     coded = encode_cells(df, index)
     if side == "code":
         from twoview.operators.quantize import decode, encode
 
-        plain = encode(df, index.codes, numbers=True)
-        df = decode(plain.select("vec_id", "codes"), index.codes)
-    probes = probe_cells(df, index, n_probe)
-    w, q = E.word_columns("w", spec.n_words), E.word_columns("q", spec.n_words)
-    cond = (coded.cell == probes.cell) & (F.col("vec_id") != F.col("qid"))
-    if tau is not None:
-        cond = cond & (E.hamming(w, q) <= tau)
-    pairs = coded.join(probes, cond)
-    return _top(pairs.select(F.col("qid").alias("src"), F.col("vec_id").alias("dst"), E.adc(w, F.col("lut"), spec).alias("dist")), k)
+        df = decode(encode(df, index.codes, numbers=True).select("vec_id", "codes"), index.codes)
+    found = search_ivf_dealt(df, coded, index, k, n_probe, tau, exclude_self=True, **sizes)
+    return found.select(F.col("qid").alias("src"), F.col("vec_id").alias("dst"), "rk", F.col("score").alias("dist"))
 
 
-def graph_descent(graph: DataFrame, vectors: DataFrame, k: int, rounds: int = 1) -> DataFrame:
-    """Neighbours of neighbours are proposed, measured on raw vectors, and the best k stay; a checkpoint each round."""
+def graph_descent(graph: DataFrame, vectors: DataFrame, k: int, rounds: int = 1, hub: int = 1024) -> DataFrame:
+    """Neighbours of neighbours are proposed, measured on raw vectors, and the best k stay; a checkpoint each round.
+
+    A node with many edges proposes the pairs of all of them. Its edges are cut into parts of about hub, and each
+    pair of parts is a join key of its own, so that no task holds all pairs of a hub.
+    """
     x = vectors.select("vec_id", doubles().alias("x"))
     for _ in range(rounds):
         e = graph.select("src", "dst")
         both = e.unionAll(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
-        mid = both.withColumnRenamed("dst", "mid")
-        far = both.select(F.col("src").alias("mid"), "dst")
-        proposed = mid.join(far, "mid").where("src <> dst").select("src", "dst").unionAll(e).distinct()
+        parts = both.groupBy(F.col("src").alias("mid")).agg(F.ceil(F.count("*") / hub).alias("parts")).where("parts > 1")
+
+        def dealt(end: str, own: str, other: str, both: DataFrame = both, parts: DataFrame = parts) -> DataFrame:
+            rows = both.select(F.col("src").alias("mid"), F.col("dst").alias(end)).join(parts, "mid", "left")
+            n = F.coalesce("parts", F.lit(1).cast("bigint"))
+            return rows.withColumns({own: F.pmod(F.xxhash64(end), n), other: F.explode(F.sequence(F.lit(0).cast("bigint"), n - 1))}).drop("parts")
+
+        pairs = dealt("src", "a_part", "b_part").join(dealt("dst", "b_part", "a_part"), ["mid", "a_part", "b_part"])
+        proposed = pairs.where("src <> dst").select("src", "dst").unionAll(e).distinct()
         a, b = x.select(F.col("vec_id").alias("src"), F.col("x").alias("a")), x.select(F.col("vec_id").alias("dst"), F.col("x").alias("b"))
         graph = _top(proposed.join(a, "src").join(b, "dst").select("src", "dst", E.l2sq(F.col("a"), F.col("b")).alias("dist")), k)
         if rounds > 1:

@@ -111,3 +111,45 @@ def op_counts(n_queries: int, n_base: int, model: CodeModel, kept_share: float)
 def summarise_runs(runs: DataFrame, by: list[str], values: list[str]) -> DataFrame:
     """Mean and deviation over seeds."""
     return runs.groupBy(*by).agg(*[f for v in values for f in (F.avg(v).alias(f"{v}_mean"), F.stddev_samp(v).alias(f"{v}_std"))])
+
+
+def estimate_pairs(queries: DataFrame, base: DataFrame, models: dict[str, CodeModel]) -> DataFrame:
+    """All pairs (qid, vec_id, d2, adc, and bits by the name of each model), for studies on sets of a bounded size.
+
+    The models share a quantizer and differ in its numbering, so that the first one's look-ups stand for all.
+    """
+    from twoview.operators.quantize import encode
+    from twoview.operators.search import as_queries, prepare_queries
+    from twoview.operators.vectors import doubles
+
+    both, asked = base.select("vec_id", doubles().alias("x")), as_queries(queries)
+    for i, (name, model) in enumerate(models.items()):
+        n = model.spec.n_words
+        c, p = encode(base, model), prepare_queries(queries, model)
+        both = both.join(c.select("vec_id", *[F.col(f"w{k}").alias(f"{name}_w{k}") for k in range(n)]), "vec_id")
+        asked = asked.join(p.select("qid", *[F.col(f"q{k}").alias(f"{name}_q{k}") for k in range(n)], *(["lut"] if i == 0 else [])), "qid")
+    first, spec = next(iter(models)), next(iter(models.values())).spec
+    bits = [E.hamming(E.word_columns(f"{m}_w", spec.n_words), E.word_columns(f"{m}_q", spec.n_words)).cast("double").alias(m) for m in models]
+    adc = E.adc(E.word_columns(f"{first}_w", spec.n_words), F.col("lut"), spec).alias("adc")
+    size = 8 * (4096 + spec.M * spec.K)
+    return over_chunks(asked, size, lambda p: both.crossJoin(p).select("qid", "vec_id", E.l2sq(F.col("x"), F.col("q")).alias("d2"), adc, *bits))
+
+
+def triplet(queries: DataFrame, base: DataFrame, before: CodeModel, after: CodeModel) -> DataFrame:
+    """Correlation of true distances with look-ups and with bits before and after: (estimator, pearson, spearman).
+
+    Spearman's ranks are within each query, ties at their mean; a query's pairs meet in one task, so base is a sample.
+    """
+    pairs = estimate_pairs(queries, base, {"hamming_before": before, "hamming_after": after})
+    names = ["adc", "hamming_before", "hamming_after"]
+    mid = lambda c: F.rank().over(Window.partitionBy("qid").orderBy(c)) + (F.count("*").over(Window.partitionBy("qid", c)) - 1) / 2.0
+    ranks = pairs.select("*", *[mid(c).alias(f"r_{c}") for c in ("d2", *names)])
+    row = ranks.agg(*[f for c in names for f in (F.corr("d2", c).alias(f"p_{c}"), F.corr("r_d2", f"r_{c}").alias(f"s_{c}"))])
+    return row.select(F.explode(F.array(*[F.struct(F.lit(c).alias("estimator"), F.col(f"p_{c}").alias("pearson"), F.col(f"s_{c}").alias("spearman")) for c in names])).alias("s")).select("s.*")
+
+
+def decile_means(queries: DataFrame, base: DataFrame, model: CodeModel) -> DataFrame:
+    """Mean true distance, look-up estimate and bits by decile of each query's true distances; base is a sample."""
+    pairs = estimate_pairs(queries, base, {"hamming": model})
+    tiles = pairs.withColumn("decile", F.ntile(10).over(Window.partitionBy("qid").orderBy("d2", "vec_id")))
+    return tiles.groupBy("decile").agg(F.avg("d2").alias("true_d2"), F.avg("adc").alias("adc"), F.avg("hamming").alias("hamming"), F.count("*").alias("pairs"))

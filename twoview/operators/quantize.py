@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from twoview.functions.expressions import l2sq
 from twoview.operators.model import CodeModel, LinearMap, ModelSpec, pack_words
-from twoview.operators.vectors import collect_matrix, doubles, map_vectors, matrix, subvectors
+from twoview.operators.vectors import collect_matrix, doubles, lists, map_vectors, matrix, subvectors
 
 
 def kmeans(x: np.ndarray, k: int, *, iters: int = 25, seed: int = 0, init: str = "random") -> np.ndarray:
@@ -158,11 +158,16 @@ def encode(df: DataFrame, model: CodeModel, keep: list[str] | None = None, numbe
 
 
 def decode(codes: DataFrame, model: CodeModel) -> DataFrame:
-    """Reconstructed vectors (vec_id, embedding) of rows (vec_id, codes), by look-up in a flat codebook."""
-    spec = model.spec
-    book = F.array(*[F.array(*[F.lit(float(v)) for v in row]) for row in model.codebook.reshape(-1, spec.ds)])
-    parts = F.transform(F.col("codes"), lambda c, m: F.get(F.col("_book"), (m * spec.K + c).cast("int")))
-    return codes.withColumn("_book", book).select("vec_id", F.flatten(parts).alias("embedding"))
+    """Reconstructed vectors (vec_id, embedding) of rows (vec_id, codes), by look-up in the codebook, sent once."""
+    sent, spec = codes.sparkSession.sparkContext.broadcast(model), model.spec
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                numbers = matrix(batch.column(1)).astype(np.int64).reshape(-1, spec.M)
+                yield pa.RecordBatch.from_arrays([batch.column(0), lists(sent.value.decode(numbers))], names=["vec_id", "embedding"])
+
+    return codes.select("vec_id", "codes").mapInArrow(run, "vec_id bigint, embedding array<double>")
 
 
 def reconstruction_error(df: DataFrame, model: CodeModel) -> DataFrame:

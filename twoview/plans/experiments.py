@@ -99,28 +99,28 @@ def alpha_study(split: V.Split, dims: int, M: int, b: int, alphas: list[float],
     for alpha in alphas:
         model, _ = A.fit_assignment(spark, plain, alpha=alpha, n_iter=n_iter, seed=seed)
         p, c = S.prepare_queries(split.query, model), Q.encode(split.base, model)
-        tau = C.calibrate_tau(p, c, model, keep)
+        tau = C.calibrate_tau(S.prepare_queries(split.train, model), c, model, keep)
         rec = _recalls(S.two_stage_knn(p, c, model, 100, tau), truth)
         rows.append((float(alpha), tau, rec[1], rec[10], rec[100]))
     truth.unpersist()
     return spark.createDataFrame(rows, "alpha double, tau int, r1 double, r10 double, r100 double")
 
 
-def convergence_study(split: V.Split, dims: int, M: int, b: int, checkpoints: tuple[int, ...], seed: int = 0, keep: float = 0.05) -> DataFrame:
-    """Loss and recall of the best numbering found up to each number of iterations."""
+def convergence_study(split: V.Split, dims: int, M: int, b: int, checkpoints: tuple[int, ...], seed: int = 0, keep: float = 0.05, tau: int | None = None) -> DataFrame:
+    """Loss and recall of the best numbering found up to each number of iterations, at one threshold, or at the share keep."""
     spark = split.base.sparkSession
     truth = S.exact_knn(split.query, split.base, 1).cache()
     model = Q.train_pq(split.train, M, b, dims=dims, seed=seed)
-    runs = [A.anneal(A.DistanceLoss(model.codebook[m], b), model.spec.K, n_iter=max(checkpoints), seed=seed + m, snapshots=checkpoints) for m in range(M)]
+    shots = A.fit_assignment(spark, model, n_iter=max(checkpoints), seed=seed, snapshots=checkpoints)[0].info["snapshots"]
     rows = []
     for it in checkpoints:
-        pi = np.stack([r.snapshots[it] for r in runs])
+        pi = shots[it]
         loss = sum(A.DistanceLoss(model.codebook[m], b).full(pi[m]) for m in range(M))
         numbered = model.relabelled(pi, "dist_assigned")
         p, c = S.prepare_queries(split.query, numbered), Q.encode(split.base, numbered)
-        tau = C.calibrate_tau(p, c, numbered, keep)
-        rec = _recalls(S.two_stage_knn(p, c, numbered, 100, tau), truth)
-        rows.append((it, float(loss), tau, rec[1], rec[100]))
+        at = C.calibrate_tau(S.prepare_queries(split.train, numbered), c, numbered, keep) if tau is None else tau
+        rec = _recalls(S.two_stage_knn(p, c, numbered, 100, at), truth)
+        rows.append((it, float(loss), at, rec[1], rec[100]))
     truth.unpersist()
     return spark.createDataFrame(rows, "iter int, loss double, tau int, r1 double, r100 double")
 
@@ -133,7 +133,7 @@ def coarse_study(split: V.Split, dims: int, M: int, b: int, n_probes: list[int],
     return I.autotune(split.query, truth, I.encode_cells(split.base, ix), ix, n_probes, taus)
 
 
-def pipeline_study(split: V.Split, dims: int, specs: list[str], b: int = 4, n_iter: int = 3000) -> DataFrame:
+def pipeline_study(split: V.Split, dims: int, specs: list[str], b: int = 4, n_iter: int = 30_000) -> DataFrame:
     """Written specs with their bytes a code and recall."""
     spark = split.base.sparkSession
     truth = S.exact_knn(split.query, split.base, 1).cache()
@@ -182,13 +182,16 @@ def filtered_knn(spark: SparkSession, sf_dir: str, split: V.Split, k: int) -> Da
     return S.exact_knn(split.query, base, k)
 
 
+PREDICATES = (("en", "lang = 'en'"), ("long", "n_chars > 3000"), ("de_src1", "lang = 'de' AND source = 'src1'"))
+
+
 def filtered_study(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
     """Filter before or after the search: share of the base left, and how much of the true filtered list is found."""
     split = V.split(src.letters(spark, sf_dir))
     docs = src.read_table(spark, sf_dir, "documents")
     n = split.base.count()
     rows = []
-    for name, cond in (("en", "lang = 'en'"), ("long", "n_chars > 3000"), ("de_src1", "lang = 'de' AND source = 'src1'")):
+    for name, cond in PREDICATES:
         ids = docs.where(cond).select(F.col("doc_id").alias("vec_id"))
         base = split.base.join(ids, "vec_id", "left_semi").cache()
         truth = S.exact_knn(split.query, base, k).cache()
@@ -205,7 +208,7 @@ def scale_study(spark: SparkSession, sf_dir: str, n_queries: int = 20, tau: int
     v = src.lines(spark, sf_dir)
     sample = V.training_sample(v, 5000)
     model = Q.train_pq(sample, 4, 4, dims=8, seed=0)
-    model, _ = A.fit_assignment(spark, model, n_iter=3000)
+    model, _ = A.fit_assignment(spark, model, n_iter=30_000)
     codes = Q.encode(v, model)
     q = S.prepare_queries(sample.orderBy("vec_id").limit(n_queries), model)
     kept = S.survivors(q, codes, model, tau, lut=False).agg(F.count("*").alias("kept"))

@@ -85,10 +85,21 @@ def stream_interval_join(spark: SparkSession, d: str) -> DataFrame:
     return T.run_append(T.pairs_within(e, T.table_stream(spark, d, "events")))
 
 
-@query("stream_drift")
+@query(
+    "stream_drift",
+    K.with_(*COMMON, K.nearest(64, 16), "er AS (SELECT vec_id, sum(d2) AS err FROM enc GROUP BY vec_id)", "tr AS (SELECT avg(err) AS e FROM er WHERE vec_id % 10 BETWEEN 1 AND 3)")
+    + "SELECT date_trunc('day', TIMESTAMP '1970-01-01' + to_hours(vec_id)) AS start, round(avg(err), 6) AS mean_error, count(*) AS n, avg(err) > 2 * (SELECT e FROM tr) AS alert FROM er GROUP BY 1",
+)
 def stream_drift(spark: SparkSession, d: str) -> DataFrame:
-    """Quantization error of arriving vectors by window of ten ids' time, against training's."""
+    """Quantization error of arriving vectors by day, where ids are hours, against training's."""
     s, model = _first(spark, d)
     trained = Q.reconstruction_error(s.train, model).agg(F.sum("mse").alias("e")).first().e
     v = T.table_stream(spark, d, "embeddings").select("vec_id", "embedding", F.timestamp_seconds(F.col("vec_id") * 3600).alias("ts"))
-    return T.run_complete(T.drift(v.withWatermark("ts", "1 hour"), model, "ts", trained_error=trained))
+    got = T.run_complete(T.drift(v.withWatermark("ts", "1 hour"), model, "ts", trained_error=trained))
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), F.round("mean_error", 6).alias("mean_error"), "n", "alert")
+
+
+@query("stream_late", "WITH o AS (SELECT count(*) AS n FROM events) SELECT n AS in_time, n AS late_dropped FROM o")
+def stream_late(spark: SparkSession, d: str) -> DataFrame:
+    """All events, then, once the watermark has passed, all of them again under other ids: none of the late ones counts."""
+    return T.late_counts(spark, spark.read.parquet(f"{d}/events.parquet").select("event_id", "ts"))

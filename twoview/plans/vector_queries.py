@@ -24,6 +24,7 @@ from twoview.operators import vectors as V
 from twoview.operators.model import CodeModel, ModelSpec
 from twoview.plans import experiments as X
 from twoview.plans import sqlkit as K
+from twoview.plans.learned import COOL
 from twoview.plans.registry import query
 from twoview.sources import vectors as src
 
@@ -145,14 +146,6 @@ def gram_matrix(spark: SparkSession, d: str) -> DataFrame:
     return L.gram_sql(src.emb(spark, d)).select(F.col("i").cast("int").alias("i"), F.col("j").cast("int").alias("j"), F.round("v", 6).alias("v"))
 
 
-@query("pca_variances")
-def pca_variances(spark: SparkSession, d: str) -> DataFrame:
-    """Variance along each of 16 principal directions, largest first."""
-    v = src.emb(spark, d)
-    out = V.apply_map(v, L.fit_pca(v, 64, 16))
-    return out.select(F.posexplode("embedding").alias("k", "x")).groupBy("k").agg(F.var_pop("x").alias("variance"))
-
-
 _ROT = L.random_rotation(64, 3)
 
 
@@ -331,12 +324,6 @@ for _n in ("identity", "gray", "affine"):
         return _per_slice(spark, d, lambda c: A.kendall_tau(_pi(n), A.centroid_distances(c)))
 
 
-def _swap(pi: np.ndarray) -> np.ndarray:
-    out = pi.copy()
-    out[3], out[9] = pi[9], pi[3]
-    return out
-
-
 _SW = "(CASE {v} WHEN 3 THEN 9 WHEN 9 THEN 3 ELSE {v} END)"
 _hi, _hj = _SW.format(v="i"), _SW.format(v="j")
 
@@ -355,19 +342,6 @@ def swap_delta_distance(spark: SparkSession, d: str) -> DataFrame:
     return _per_slice(spark, d, delta)
 
 
-@query("swap_delta_rank")
-def swap_delta_rank(spark: SparkSession, d: str) -> DataFrame:
-    """The incremental update of the ranking loss, with the whole difference beside it."""
-    _, model = _first(spark, d)
-    rows = []
-    for m in range(16):
-        loss = A.RankLoss(model.codebook[m], 4)
-        pi = np.arange(16)
-        loss.start(pi)
-        rows.append((m, float(loss.delta(pi, 3, 9)), float(loss.full(_swap(pi)) - loss.full(pi))))
-    return spark.createDataFrame(rows, "m int, delta double, whole double")
-
-
 # optimizers
 
 
@@ -377,46 +351,28 @@ def _trained(spark: SparkSession, d: str, construction: str = "dist_assigned", n
     return s, (model if construction == "plain" else A.fit_assignment(spark, model, construction, n_iter=n_iter, restarts=restarts, seed=42)[0])
 
 
-@query("anneal_summary")
-def anneal_summary(spark: SparkSession, d: str) -> DataFrame:
-    """Loss of each slice before and after annealing."""
-    s = _split(spark, d)
-    model = Q.train_pq(s.train, 16, 4, dims=64, seed=42)
-    _, trace = A.fit_assignment(spark, model, "dist_assigned", n_iter=6000, seed=42)
-    t = spark.createDataFrame(trace)
-    return t.groupBy("m").agg(F.min_by("loss", "iter").alias("first_loss"), F.max_by("loss", "iter").alias("best_loss"))
-
-
 @query("rank_anneal_summary")
 def rank_anneal_summary(spark: SparkSession, d: str) -> DataFrame:
     s = _split(spark, d)
     model = Q.train_pq(s.train, 16, 4, dims=64, seed=42)
-    _, trace = A.fit_assignment(spark, model, "rank_assigned", n_iter=1500, seed=42)
+    _, trace = A.fit_assignment(spark, model, "rank_assigned", n_iter=RANK, seed=42)
     return spark.createDataFrame(trace).groupBy("m").agg(F.min_by("loss", "iter").alias("first_loss"), F.max_by("loss", "iter").alias("best_loss"))
 
 
-@query("greedy_summary")
-def greedy_summary(spark: SparkSession, d: str) -> DataFrame:
-    s = _split(spark, d)
-    model = Q.train_pq(s.train, 16, 4, dims=64, seed=42)
-    _, trace = A.fit_assignment(spark, model, "dist_assigned", optimizer="greedy", seed=42)
-    return spark.createDataFrame(trace).groupBy("m").agg(F.min_by("loss", "iter").alias("first_loss"), F.max_by("loss", "iter").alias("best_loss"), F.max("iter").alias("rounds"))
-
-
 @query("optimizer_study")
 def optimizer_study(spark: SparkSession, d: str) -> DataFrame:
-    return X.optimizer_study(_split(spark, d).train, 64, 16, 4, n_iter=6000, restarts=2)
+    return X.optimizer_study(_split(spark, d).train, 64, 16, 4, n_iter=COOL, restarts=2)
 
 
 @query("alpha_study")
 def alpha_study(spark: SparkSession, d: str) -> DataFrame:
     s = _split(spark, d)
-    return X.alpha_study(s, 64, 16, 4, [0.2, 0.4, 0.6], n_iter=3000)
+    return X.alpha_study(s, 64, 16, 4, [0.2, 0.3, 0.4, 0.5, 0.6], n_iter=COOL)
 
 
 @query("convergence_study")
 def convergence_study(spark: SparkSession, d: str) -> DataFrame:
-    return X.convergence_study(_split(spark, d), 64, 16, 4, (0, 500, 2000, 5000))
+    return X.convergence_study(_split(spark, d), 64, 32, 4, (0, 500, 2000, 5000, 10_000, COOL), tau=52)
 
 
 # searches on fixed numberings
@@ -430,10 +386,11 @@ def exact_knn(spark: SparkSession, d: str) -> DataFrame:
     return _round(S.exact_knn(s.query, s.base, 10))
 
 
-@query("exact_knn_blas", K.with_(K.vectors(), K.splits(), f"p AS (SELECT qid, vec_id, {K.sqd('e', 'q', 64)} AS score FROM base, qry)") + K.top("p", 10))
-def exact_knn_blas(spark: SparkSession, d: str) -> DataFrame:
+@query("exact_knn_sql", K.with_(K.vectors(), K.splits(), f"p AS (SELECT qid, vec_id, {K.sqd('e', 'q', 64)} AS score FROM base, qry)") + K.top("p", 10))
+def exact_knn_sql(spark: SparkSession, d: str) -> DataFrame:
+    """The truth in plain expressions."""
     s = _split(spark, d)
-    return _round(S.exact_knn_blas(s.query, s.base, 10))
+    return _round(S.exact_knn(s.query, s.base, 10, engine="sql"))
 
 
 @query("exact_range", K.with_(K.vectors(), K.splits()) + f"SELECT qid, vec_id, round({K.sqd('e', 'q', 64)}, 6) AS score FROM base, qry WHERE {K.sqd('e', 'q', 64)} <= 1.4")
@@ -540,28 +497,6 @@ def adc_range(spark: SparkSession, d: str) -> DataFrame:
     return S.adc_range(p, c, model, 1.3).select("qid", "vec_id", F.round("score", 6).alias("score"))
 
 
-@query("two_stage_at_least")
-def two_stage_at_least(spark: SparkSession, d: str) -> DataFrame:
-    _, model, p, c = _ready(spark, d, "gray")
-    return _round(S.two_stage_at_least(p, c, model, 10, 16, 20))
-
-
-@query("search_one")
-def search_one(spark: SparkSession, d: str) -> DataFrame:
-    s, model, _, c = _ready(spark, d, "gray")
-    return S.search_one(V.lowest_ids(s.query, 1)[1][0], c, model, 10, TAU)
-
-
-@query("two_stage_foreign_bits")
-def two_stage_foreign_bits(spark: SparkSession, d: str) -> DataFrame:
-    """Bits of an unrelated code as the first stage; they take room of their own."""
-    s, model, p, c = _ready(spark, d)
-    bits = B.fit_itq(s.train, 64, 64)
-    c2 = c.join(B.encode_bits(s.base, bits, "f"), "vec_id")
-    p2 = p.join(B.encode_bits(s.query, bits, "g", "qid"), "qid")
-    return _round(S.two_stage_knn(p2, c2, model, 10, 28, by="foreign"))
-
-
 def _bits_knn(spark: SparkSession, d: str, model: B.BinaryModel) -> DataFrame:
     s = _split(spark, d)
     fake = CodeModel(B.bit_spec(model), np.zeros((0, 0, 0)))
@@ -580,16 +515,6 @@ def lsh_knn(spark: SparkSession, d: str) -> DataFrame:
     return _bits_knn(spark, d, B.fit_sign_lsh(64, 32, 7))
 
 
-@query("lsh_projection_knn")
-def lsh_projection_knn(spark: SparkSession, d: str) -> DataFrame:
-    return _bits_knn(spark, d, B.fit_sign_lsh(64, 128, 7, orthogonal=False))
-
-
-@query("itq_knn")
-def itq_knn(spark: SparkSession, d: str) -> DataFrame:
-    return _bits_knn(spark, d, B.fit_itq(_split(spark, d).train, 64, 64))
-
-
 # measures
 
 _TRUE = f"true1 AS (SELECT qid, vec_id FROM (SELECT qid, vec_id, {K.sqd('e', 'q', 64)} AS s FROM base, qry) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY s, vec_id) = 1)"
@@ -684,24 +609,6 @@ def _coarse(spark: SparkSession, d: str, **kw) -> tuple[V.Split, I.CoarseIndex]:
     return s, I.fit_multi_index(s.train, 64, 3, model, seed=1, **kw)
 
 
-@query("multi_index_cells")
-def multi_index_cells(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d)
-    return I.encode_cells(s.base, ix).groupBy("cell").agg(F.count("*").alias("n"))
-
-
-@query("probe_cells")
-def probe_cells(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d)
-    return I.probe_cells(s.query, ix, 8).select("qid", "cell", "ord", F.round("cell_d2", 6).alias("cell_d2"))
-
-
-@query("ivf_search")
-def ivf_search(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d)
-    return _round(I.search_ivf(I.probe_cells(s.query, ix, 16), I.encode_cells(s.base, ix), ix, 10, 28))
-
-
 @query("ivf_search_all_cells", _ADC)
 def ivf_search_all_cells(spark: SparkSession, d: str) -> DataFrame:
     """With all cells visited and no bit test the index gives the full scan's result."""
@@ -709,30 +616,6 @@ def ivf_search_all_cells(spark: SparkSession, d: str) -> DataFrame:
     return _round(I.search_ivf(I.probe_cells(s.query, ix, 64), I.encode_cells(s.base, ix), ix, 10))
 
 
-@query("ivf_search_salted", _ADC)
-def ivf_search_salted(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d)
-    return _round(I.search_ivf_salted(I.probe_cells(s.query, ix, 64), I.encode_cells(s.base, ix), ix, 10))
-
-
-@query("residual_search")
-def residual_search(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d, residual=True)
-    return _round(I.search_ivf(I.probe_cells(s.query, ix, 16), I.encode_cells(s.base, ix), ix, 10))
-
-
-@query("single_index_search")
-def single_index_search(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d, parts=1)
-    return _round(I.search_ivf(I.probe_cells(s.query, ix, 3), I.encode_cells(s.base, ix), ix, 10, 28))
-
-
-@query("autotune_pareto")
-def autotune_pareto(spark: SparkSession, d: str) -> DataFrame:
-    s, ix = _coarse(spark, d)
-    return I.autotune(s.query, S.exact_knn(s.query, s.base, 1), I.encode_cells(s.base, ix), ix, [1, 4, 16, 64], [20, 28, 64])
-
-
 @query("coarse_study")
 def coarse_study(spark: SparkSession, d: str) -> DataFrame:
     return X.coarse_study(_split(spark, d), 64, 16, 4, [1, 8, 64], [24, 64])
@@ -746,25 +629,69 @@ def pipeline_study(spark: SparkSession, d: str) -> DataFrame:
 # experiments
 
 
+#: Swaps of the ranking objective in registered queries; its update costs some twenty times as much as the distance's.
+RANK = 10_000
+
+
 @query("ablation_grid")
 def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
-    return X.ablation_grid(_split(spark, d), 64, 16, 4, n_iter={"dist_assigned": 6000, "rank_assigned": 1000}, seeds=(1, 2))
+    """All constructions and estimators, five seeds, 8 bytes."""
+    return X.ablation_grid(_split(spark, d), 64, 16, 4, n_iter={"dist_assigned": COOL, "rank_assigned": RANK})
 
 
 @query("ablation_cube")
 def ablation_cube(spark: SparkSession, d: str) -> DataFrame:
-    runs = X.ablation_grid(_split(spark, d), 64, 16, 4, n_iter={"dist_assigned": 3000}, constructions=("plain", "dist_assigned"), seeds=(1,))
-    return runs.cube("construction", "estimator").agg(F.avg("r100").alias("r100"), F.count("*").alias("n"))
+    """Mean and deviation over seeds, with totals by construction and by estimator, at 16 bytes."""
+    runs = X.ablation_grid(_split(spark, d), 64, 32, 4, n_iter={"dist_assigned": COOL}, constructions=("plain", "dist_assigned"), seeds=(1, 2, 3))
+    return runs.cube("construction", "estimator").agg(F.avg("r100").alias("r100"), F.stddev_samp("r100").alias("r100_std"), F.count("*").alias("n"))
+
+
+@query("ablation_summary")
+def ablation_summary(spark: SparkSession, d: str) -> DataFrame:
+    """Means, deviations and milliseconds a query over five seeds, at 16 bytes of 4-bit numbers."""
+    runs = X.ablation_grid(_split(spark, d), 64, 32, 4, n_iter={"dist_assigned": COOL}, constructions=("plain", "dist_assigned"), timing=True)
+    return R.summarise_runs(runs, ["construction", "estimator"], ["r1", "r10", "r100", "ms"])
+
+
+@query("ablation_bytes")
+def ablation_bytes(spark: SparkSession, d: str) -> DataFrame:
+    """16 bytes of 8-bit numbers, on word vectors: 256 centroids a slice need as many training rows."""
+    return X.ablation_grid(V.split(src.words(spark, d).cache()), 64, 16, 8, n_iter={"dist_assigned": 100_000}, constructions=("plain", "dist_assigned"), seeds=(1,))
+
+
+@query("training_time")
+def training_time(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds a slice of learning a numbering, by objective, beside its loss before and after."""
+    model = Q.train_pq(_split(spark, d).train, 16, 4, dims=64, seed=42)
+    traces = [spark.createDataFrame(A.fit_assignment(spark, model, c, n_iter=n, seed=42)[1]).withColumns({"objective": F.lit(c), "n_iter": F.lit(n)}) for c, n in (("dist_assigned", COOL), ("rank_assigned", 1000))]
+    ends = traces[0].unionAll(traces[1]).groupBy("objective", "n_iter", "m").agg(F.min_by("loss", "iter").alias("first"), F.max_by("loss", "iter").alias("last"), F.max("seconds").alias("s"))
+    return ends.groupBy("objective", "n_iter").agg(F.sum("first").alias("loss_before"), F.sum("last").alias("loss_after"), F.avg("s").alias("seconds_a_slice"), (F.avg("s") / F.first("n_iter") * 1e6).alias("microseconds_a_swap"))
 
 
 @query("toy_plane")
 def toy_plane(spark: SparkSession, d: str) -> DataFrame:
-    return X.toy_plane(src.plane(spark, d), b=6, n_iter=6000)
+    return X.toy_plane(src.plane(spark, d), b=6, n_iter=60_000)
+
+
+_FL = (
+    f"l AS MATERIALIZED (SELECT vec_id, e, lang, source, n_chars FROM (SELECT doc_id AS vec_id, {_LETTER} AS e, lang, source, n_chars FROM (SELECT *, text AS t FROM documents)))",
+    f"p AS MATERIALIZED (SELECT a.vec_id AS qid, b.vec_id, b.lang, b.source, b.n_chars, {K.sqd('a.e', 'b.e', 24)} AS s FROM l a JOIN l b ON a.vec_id % 10 = 0 AND b.vec_id % 10 >= 4)",
+    "al AS (SELECT qid, vec_id FROM p QUALIFY row_number() OVER (PARTITION BY qid ORDER BY s, vec_id) <= 10)",
+)
+
+
+def _filtered(name: str, cond: str) -> str:
+    top = f"(SELECT qid, vec_id FROM p WHERE {cond} QUALIFY row_number() OVER (PARTITION BY qid ORDER BY s, vec_id) <= 5)"
+    return (
+        f"SELECT '{name}' AS predicate, round((SELECT count(*) FROM l WHERE vec_id % 10 >= 4 AND {cond}) / (SELECT count(*) FROM l WHERE vec_id % 10 >= 4), 6) AS selectivity, "
+        f"round((SELECT count(*) FROM {top} JOIN al USING (qid, vec_id)) / greatest((SELECT count(*) FROM {top}), 1), 6) AS post_filter_recall"
+    )
 
 
-@query("filtered_study")
+@query("filtered_study", K.with_(*_FL) + " UNION ALL ".join(_filtered(n, c) for n, c in X.PREDICATES))
 def filtered_study(spark: SparkSession, d: str) -> DataFrame:
-    return X.filtered_study(spark, d)
+    got = X.filtered_study(spark, d)
+    return got.select("predicate", *[F.round(c, 6).alias(c) for c in ("selectivity", "post_filter_recall")])
 
 
 @query("scale_rate")
@@ -787,25 +714,6 @@ def knn_graph_exact(spark: SparkSession, d: str) -> DataFrame:
     return _graph(spark, d).select("src", "dst", F.col("rk").cast("int").alias("rk"), F.round("dist", 6).alias("dist"))
 
 
-@query("knn_graph")
-def knn_graph(spark: SparkSession, d: str) -> DataFrame:
-    _, ix = _coarse(spark, d)
-    return G.knn_graph(src.emb(spark, d), ix, 5, 16, 32)
-
-
-@query("knn_graph_codes")
-def knn_graph_codes(spark: SparkSession, d: str) -> DataFrame:
-    _, ix = _coarse(spark, d)
-    return G.knn_graph(src.emb(spark, d), ix, 5, 8, 32, side="code")
-
-
-@query("graph_descent")
-def graph_descent(spark: SparkSession, d: str) -> DataFrame:
-    _, ix = _coarse(spark, d)
-    v = src.emb(spark, d)
-    return G.graph_descent(G.knn_graph(v, ix, 5, 4), v, 5)
-
-
 @query("graph_stats", K.with_(K.vectors(), _EDGES) + "SELECT count(*) AS edges, count(DISTINCT src) AS nodes, (SELECT max(c) FROM (SELECT count(*) AS c FROM ed GROUP BY dst)) AS max_in_degree, (SELECT count(*) FROM ed a JOIN ed b ON a.src = b.dst AND a.dst = b.src) AS mutual FROM ed")
 def graph_stats(spark: SparkSession, d: str) -> DataFrame:
     return G.graph_stats(_graph(spark, d))
@@ -849,10 +757,11 @@ def modes(spark: SparkSession, d: str) -> DataFrame:
     return G.modes(g, p).select("node", "is_mode")
 
 
-@query("mode_gallery")
+@query("mode_gallery", _MODES + "SELECT pr.node, round(pr.p / (SELECT sum(p) FROM pr), 9) AS p, g.rk::INTEGER AS rk, g.dst, round(g.dist, 6) AS dist FROM pr JOIN bs USING (node) JOIN (SELECT *, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rk FROM ed) g ON g.src = pr.node WHERE (pr.p > top OR (pr.p = top AND pr.node < who)) AND g.rk <= 3")
 def mode_gallery(spark: SparkSession, d: str) -> DataFrame:
     g = _with_dir(_graph(spark, d))
-    return G.mode_gallery(g, G.modes(g, G.settled(g)), 3)
+    got = G.mode_gallery(g, G.modes(g, G.settled(g)), 3)
+    return got.select("node", F.round("p", 9).alias("p"), F.col("rk").cast("int").alias("rk"), "dst", F.round("dist", 6).alias("dist"))
 
 
 @query("graph_study")

@@ -19,10 +19,16 @@ from twoview.sources.vectors import user_vectors
 
 
 def scratch(spark: SparkSession) -> str:
-    """A fresh folder under the session's checkpoint folder, or a temporary one where none is set."""
+    """A fresh folder under the session's checkpoint folder; where none is set, a temporary one, on a single machine only."""
+    import re
     import tempfile
 
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="twoview-stream-")
+    context = spark.sparkContext
+    root = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
+    if not root:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", context.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        root = tempfile.mkdtemp(prefix="twoview-stream-")
     return f"{root.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
@@ -124,3 +130,24 @@ def drift(vectors: DataFrame, model: CodeModel, time_col: str, length: str = "1
     return e.groupBy(F.window(time_col, length).alias("w")).agg(F.avg("err").alias("mean_error"), F.count("*").alias("n")).select(
         F.col("w.start").alias("start"), "mean_error", "n", (F.col("mean_error") > factor * trained_error).alias("alert")
     )
+
+
+def late_counts(spark: SparkSession, events: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Replays events (event_id, ts) as a stream in three steps: all of them, one far later that moves the watermark on, and all
+    again under new ids. Returns how many entered daily windows, and how many rows the watermark dropped.
+
+    Dropped rows are counted by the stream's own progress reports.
+    """
+    at = scratch(spark)
+    events = events.select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    far = events.agg((F.max("event_id") + 1).alias("event_id"), (F.max("ts") + F.expr("INTERVAL 30 DAYS")).alias("ts"))
+    again = events.crossJoin(F.broadcast(events.agg((F.max("event_id") - F.min("event_id") + 2).alias("_more")))).select((F.col("event_id") + F.col("_more")).alias("event_id"), "ts")
+    dropped = 0
+    for step in (events, far, again):
+        step.coalesce(1).write.mode("append").parquet(at + "/in")
+        daily = spark.readStream.schema(events.schema).parquet(at + "/in").withWatermark("ts", late).dropDuplicates(["event_id", "ts"]).select("event_id")
+        run = daily.writeStream.format("parquet").option("checkpointLocation", at + "/c").option("path", at + "/d").outputMode("append").trigger(availableNow=True).start()
+        run.awaitTermination()
+        dropped += sum(o["numRowsDroppedByWatermark"] for p in run.recentProgress for o in p["stateOperators"])
+    n = spark.read.schema("event_id bigint").parquet(at + "/d").agg((F.count("*") - 1).alias("in_time"))
+    return n.select("in_time", F.lit(int(dropped)).cast("bigint").alias("late_dropped"))
