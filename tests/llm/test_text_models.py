@@ -1,8 +1,10 @@
 import numpy as np
+import pyarrow as pa
 
 from twoview.llm import grading as G
 from twoview.llm import toxicity as T
 from twoview.llm.subwords import chunks_of, passages, places
+from twoview.llm.text import column_chunks
 
 
 def corpus(seed, n, bad):
@@ -24,7 +26,7 @@ def test_unseen_misspellings_are_caught():
     model = T.train(texts, y)
     new, z = corpus(2, 300, ["xyzzyfouly", "qwertvilez", "zorrkscum"])
     bias = float(model.bias[1] - model.bias[0])
-    s = np.concatenate([T.score_chunk(c, model.margin.astype(float), bias, model.size) for c in chunks_of(new)])
+    s = np.concatenate([T.score_chunk(c, model.margin.astype(float), bias, T.PASSAGE) for c in chunks_of(new)])
     assert (s[z == 1] >= 0.3).mean() > 0.8 and (s[z == 0] >= 0.3).mean() < 0.05
 
 
@@ -84,3 +86,69 @@ def test_grading_on_odd_tables(spark):
     assert len(G.quality_grades(docs, ratings).collect()) == 3
     assert all(r.tail == 0 for r in G.quality_grades(docs, ratings.limit(0)).collect())
     assert G.quality_grades(docs.limit(0), ratings).count() == 0
+
+
+def brute_toxicity(text, margin, bias):
+    """The score word by word and passage by passage."""
+    words = (text or "").split()
+    sums = []
+    for i, w in enumerate(words):
+        total, count = places(next(chunks_of([w]))).totals(margin)
+        heard = any(v.lower() == w.lower() for v in words[max(0, i - T.PASSAGE) : i])
+        sums.append((0.0, 0) if heard else (total[-1], count[-1]))
+    best = -np.inf
+    for k in range(max(1, -(-(len(words) - T.PASSAGE) // (T.PASSAGE // 2)) + 1)):
+        part = sums[k * T.PASSAGE // 2 : k * T.PASSAGE // 2 + T.PASSAGE]
+        best = max(best, sum(x for x, _ in part) / max(sum(n for _, n in part), T.FULL))
+    return 1 / (1 + np.exp(-(best + bias)))
+
+
+def test_scores_match_brute_force():
+    margin = np.random.default_rng(8).normal(size=1 << 18)
+    texts, _ = corpus(9, 40, ["xyzzyfoul"])
+    texts += [None, "", "One two ONE", "x " * 300, " ".join(f"w{i}" for i in range(200))]
+    for limit in (1, 1 << 18):
+        got = np.concatenate([T.score_chunk(c, margin, 0.3, T.PASSAGE) for c in column_chunks(pa.array(texts, pa.string()), limit)])
+        assert np.allclose(got, [brute_toxicity(t, margin, 0.3) for t in texts])
+
+
+def test_grades_match_brute_force():
+    """Values as the mean weight of all words and n-grams, computed word by word."""
+    weights = np.random.default_rng(4).normal(size=1 << 18)
+    grader = G.Grader(weights, np.array([-0.4, 0.7]), np.array([0, 1, 2]))
+    texts = [None, "", "One two ONE", " ".join(f"W{i % 7}x" for i in range(90)), "é a  b"]
+    want = []
+    for t in texts:
+        parts = [places(next(chunks_of([w])), G.SIZES, lower=False).totals(weights) for w in (t or "").split()]
+        want.append(sum(p[0][-1] for p in parts) / max(sum(p[1][-1] for p in parts), 1))
+    value = np.concatenate([grader.value(c) for c in column_chunks(pa.array(texts, pa.string()))])
+    assert np.allclose(value, want)
+    assert np.allclose(grader.tails(value), [[1 / (1 + np.exp(th - v)) for th in (-0.4, 0.7)] for v in want])
+
+
+def test_grades_hold_on_rows_set_aside():
+    """On the given ratings, rows not learned from: expected grades rank graded pairs far better than chance."""
+    import duckdb
+
+    d = "/root/testdata/sf0.01"
+    rows = duckdb.sql(f"SELECT DISTINCT ON (d.doc_id) d.text, CASE WHEN quality <= 0 THEN 0 WHEN toxic > 0 THEN 1 ELSE 2 END, d.doc_id FROM '{d}/documents.parquet' d JOIN '{d}/labels.parquet' USING (doc_id) ORDER BY d.doc_id").fetchall()
+    learn, held = [r for r in rows if r[2] % 3], [r for r in rows if not r[2] % 3]
+    model = G.train([r[0] for r in learn], np.array([r[1] for r in learn]))
+    value = np.concatenate([model.value(c) for c in chunks_of([r[0] for r in held])])
+    pairs = [(a, b) for a, x in zip(value, held, strict=True) for b, y in zip(value, held, strict=True) if x[1] < y[1]]
+    assert np.mean([a < b for a, b in pairs]) > 0.75
+
+
+def test_very_long_texts_and_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "good words " * 60_000, 0.5, "a"), (2, "bad words", 0.1, "b"), (None, None, None, None)], "doc_id long, text string, value double, tail string")
+    ratings = spark.createDataFrame([(1, 2, "x"), (2, 0, "y")], "doc_id long, grade int, text string")
+    out = G.quality_grades(docs, ratings).collect()
+    assert len(out) == 3 and all(0 <= r.tail <= 1 and 0 <= r.expected_grade <= 2 for r in out)
+
+
+def test_few_labelled_rows_of_a_class():
+    """Fewer rows of a class than folds: they are learnt from all the same."""
+    texts, y = corpus(5, 60, ["xyzzyfoul"])
+    keep = np.append(np.flatnonzero(y == 0), np.flatnonzero(y == 1)[:2])
+    model = T.train([texts[i] for i in keep], y[keep])
+    assert np.isfinite(model.margin).all() and np.isfinite(model.bias).all()

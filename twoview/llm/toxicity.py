@@ -21,8 +21,8 @@ from twoview.llm.base import map_chunks
 from twoview.llm.subwords import BITS, chunks_of, edges, labelled_sample, passages, places
 from twoview.llm.text import Chunk
 
-#: Words of a passage: few where there are fewer than FEW toxic training rows, whose evidence must come from single words.
-PASSAGE, SHORT_PASSAGE, FEW = 60, 24, 150
+#: Words of a passage, at every size of the training set.
+PASSAGE = 24
 #: A passage of fewer subwords is filled up with zero vectors, so that few words alone weigh no more than among others.
 FULL = 200
 
@@ -34,28 +34,24 @@ class Model:
     embedding: np.ndarray
     weights: np.ndarray
     bias: np.ndarray
-    size: int = PASSAGE
 
     @property
     def margin(self) -> np.ndarray:
         return self.embedding @ (self.weights[:, 1] - self.weights[:, 0])
 
 
-def _flat(texts: list[str], size: int, most: int, min_docs: float, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _flat(texts: list[str], size: int, min_docs: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Subwords of passages of some texts, passage after passage, without those in fewer than min_docs texts.
 
     Returns the buckets left, passage bounds, text of each passage, all subwords of each passage, and the buckets known.
-    Training passages don't overlap; of a text with over most passages, most are drawn, as many for either class.
+    Training passages don't overlap, and all of a text's take part.
     """
     buckets, lens, docs, base = [], [], [], 0
     often = np.zeros(1 << BITS, np.int32)
     for chunk in chunks_of(texts):
         p = places(chunk, once_in=size)
         doc, first, end = passages(chunk, size, size)
-        order = np.lexsort((rng.random(len(doc)), doc))
-        nth = np.arange(len(doc)) - np.searchsorted(doc, doc)
-        use = np.sort(order[nth < most])
-        doc, (a, b) = doc[use], edges(p, first[use], end[use])
+        a, b = edges(p, first, end)
         place = np.concatenate([x for x, _ in p.layers])
         bucket = np.concatenate([x for _, x in p.layers])
         order = np.argsort(place, kind="stable")
@@ -91,28 +87,56 @@ def _blocks(bounds: np.ndarray, most: int = 1 << 20) -> list[tuple[int, int]]:
     return list(zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
 
 
-def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, warm: int = 20, rate: float = 4.0, momentum: float = 0.9, min_docs: int = 3, min_share: float = 0.01, floor: float = 20.0, most: int = 1000, seed: int = 3) -> Model:
-    """Fit embeddings and softmax together by accelerated gradient steps, then scale them to document scores.
+def train(texts: list[str], y: np.ndarray, *, dim: int = 8, folds: int = 4, seed: int = 3, **options: float) -> Model:
+    """Fit embeddings and softmax together to all texts, then scale them to document scores.
 
-    The gradient of a subword's embedding is the softmax's direction times the sum, over passages, of the passage's
-    error by its share of the subword, so one weighted count a bucket gives all gradients. Steps are scaled by the
-    subwords' mean shares. Subwords in fewer than min_docs texts keep a zero vector. A fifth of the texts
-    is left out and sets the odds: a logistic curve from the highest passage margin to the label.
+    The scale is cross-fitted: each fold's texts get the margins of a model of the other folds, and all these
+    together set the odds, a logistic curve from the highest passage margin to the label. A class of fewer rows
+    than folds is in all folds' training sets.
     """
-    rng = np.random.default_rng(seed)
-    size = 1 << BITS
-    model = Model(np.zeros((size, dim), np.float32), np.stack([-np.ones(dim), np.ones(dim)], 1) / (2 * np.sqrt(dim)), np.zeros(2))
+    model = Model(np.zeros((1 << BITS, dim), np.float32), np.stack([-np.ones(dim), np.ones(dim)], 1) / (2 * np.sqrt(dim)), np.zeros(2))
     toxic = y > 0
-    model.size = PASSAGE if toxic.sum() >= FEW else SHORT_PASSAGE
     share = toxic.mean() if len(y) else 0.0
-    if not len(y) or share in (0.0, 1.0):
+    if share in (0.0, 1.0):
         model.bias = np.log([max(1 - share, 1e-9), max(share, 1e-9)])
         return model
-    aside = rng.permutation(len(y)) % 5 == 0 if min(toxic.sum(), (~toxic).sum()) >= 100 else np.zeros(len(y), bool)
-    fit = np.flatnonzero(~aside)
-    bucket, bounds, doc, count, known = _flat([texts[i] for i in fit], model.size, most, max(min_docs, len(fit) * min_share), rng)
-    label = toxic[fit][doc]
-    slot = np.zeros(size, np.int32)
+    rng = np.random.default_rng(seed)
+    fold = np.full(len(y), -1)
+    for k in (False, True):
+        own = np.flatnonzero(toxic == k)
+        if len(own) >= folds:
+            fold[rng.permutation(own)] = np.arange(len(own)) % folds
+    best = np.zeros(len(y))
+    for f in range(folds):
+        held = np.flatnonzero(fold == f)
+        if len(held):
+            rows, way = _fitted([texts[i] for i in np.flatnonzero(fold != f)], toxic[fold != f], model, **options)
+            best[held] = _margins([texts[i] for i in held], rows @ way)
+    model.embedding, way = _fitted(texts, toxic, model, **options)
+    model.weights = np.stack([-way, way], 1) / 2
+    if (fold < 0).any():
+        rest = np.flatnonzero(fold < 0)
+        best[rest] = _margins([texts[i] for i in rest], model.margin)
+    slope, shift = _odds(best, toxic, 0.25)
+    model.embedding *= slope
+    model.bias = np.array([-shift, shift]) / 2
+    return model
+
+
+def _margins(texts: list[str], margin: np.ndarray) -> np.ndarray:
+    return np.concatenate([best_margin(c, margin.astype(float), PASSAGE) for c in chunks_of(texts)])
+
+
+def _fitted(texts: list[str], toxic: np.ndarray, start: Model, *, steps: int = 60, warm: int = 20, rate: float = 4.0, momentum: float = 0.9, min_docs: int = 3, min_share: float = 0.01, floor: float = 20.0) -> tuple[np.ndarray, np.ndarray]:
+    """Embeddings, and the direction between the classes, by accelerated gradient steps.
+
+    The gradient of a subword's embedding is the softmax's direction times the sum, over passages, of the passage's
+    error by its share of the subword, so one weighted count a bucket gives all gradients. Steps are scaled by the
+    subwords' mean shares. Subwords in fewer than min_docs texts keep a zero vector.
+    """
+    bucket, bounds, doc, count, known = _flat(texts, PASSAGE, max(min_docs, len(texts) * min_share))
+    label = toxic[doc]
+    slot = np.zeros(len(start.embedding), np.int32)
     slot[known] = np.arange(len(known))
     slot, inverse, blocks = slot[bucket], 1 / np.maximum(count, FULL), _blocks(bounds)
 
@@ -126,7 +150,7 @@ def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, war
         return out
 
     use = np.ones(len(doc), bool)
-    rows, way, bias = np.zeros((len(known), dim)), model.weights[:, 1] - model.weights[:, 0], -2.0
+    rows, way, bias = np.zeros((len(known), start.embedding.shape[1])), start.weights[:, 1] - start.weights[:, 0], -2.0
     speed = np.zeros_like(rows)
     for step in range(steps):
         ahead = rows + momentum * speed
@@ -146,14 +170,9 @@ def train(texts: list[str], y: np.ndarray, *, dim: int = 8, steps: int = 60, war
         speed = momentum * speed - rate * (pull / often)[:, None] * way
         way = way - 0.01 * pull @ ahead
         rows = rows + speed
-    model.embedding[known] = rows
-    model.weights = np.stack([-way, way], 1) / 2
-    held = np.flatnonzero(aside) if aside.any() else fit
-    best = np.concatenate([best_margin(c, model.margin.astype(float), model.size) for c in chunks_of([texts[i] for i in held])])
-    slope, shift = _odds(best, toxic[held], 0.25)
-    model.embedding *= slope
-    model.bias = np.array([-shift, shift]) / 2
-    return model
+    out = np.zeros_like(start.embedding)
+    out[known] = rows
+    return out, way
 
 
 def _odds(x: np.ndarray, y: np.ndarray, share: float) -> tuple[float, float]:
@@ -193,6 +212,6 @@ def toxicity(docs: DataFrame, labels: DataFrame, *, per_class: int = 1500, thres
     """
     texts, y = labelled_sample(docs, labels, "toxic", per_class)
     model = train(texts, y)
-    sent = docs.sparkSession.sparkContext.broadcast((model.margin.astype(np.float64), float(model.bias[1] - model.bias[0]), model.size))
+    sent = docs.sparkSession.sparkContext.broadcast((model.margin.astype(np.float64), float(model.bias[1] - model.bias[0]), PASSAGE))
     scored = map_chunks(docs, "text", ["doc_id"], lambda c: {"score": score_chunk(c, *sent.value)}, "score double")
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
