@@ -44,7 +44,28 @@ def test_batches_fill_the_budget(spark):
     assert P.pack_documents(docs.limit(0)).count() == 0
 
 
-def test_grid_is_bounded_and_covers(spark):
-    rows = spark.range(1, 40000).selectExpr("id as n")
-    got = rows.select("n", P.grid_length(rows.n).alias("g")).collect()
-    assert all(r.g >= r.n and r.g <= r.n * 1.07 for r in got) and len({r.g for r in got}) < P.FINE + 32 * 6
+def test_halving_finds_what_trying_all_cuts_finds():
+    rng = np.random.default_rng(2)
+    for n, buckets in ((1, 3), (2, 1), (40, 5), (300, 16), (300, 1)):
+        length = np.sort(rng.choice(30_000, n, replace=False)) + 1
+        count = rng.integers(1, 1000, n)
+        best = np.append(0.0, np.full(n, np.inf))
+        c, t = np.append(0, np.cumsum(count)), np.append(0, np.cumsum(count * length))
+        for _ in range(min(buckets, n)):
+            best = np.array([0.0] + [min(best[i] + length[j - 1] * (c[j] - c[i]) - (t[j] - t[i]) for i in range(j)) for j in range(1, n + 1)])
+        assert P.best_bounds(length, count, count * length, buckets)[1] == best[n]
+
+
+def test_whole_query_against_brute_force(spark):
+    """Buckets, batches and places of the given table, computed row by row."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = sorted((r.doc_id, len((r.text or "").split()) + 1) for r in docs.select("doc_id", "text").collect())
+    lengths, counts = np.unique([n for _, n in rows], return_counts=True)
+    bounds, _ = P.best_bounds(lengths, counts, lengths * counts, 16)
+    seen, want = {}, {}
+    for i, n in rows:
+        k = next(k for k, b in enumerate(bounds) if n <= b)
+        held = max(1, 16_384 // bounds[k])
+        at = seen[k] = seen.get(k, -1) + 1
+        want[i] = (n, k, bounds[k], at // held, at % held)
+    assert {r.doc_id: tuple(r)[1:] for r in P.pack_documents(docs).collect()} == want

@@ -4,8 +4,9 @@ Spark counts all documents by length; dynamic programming over that histogram ch
 given number of buckets that need the fewest padding tokens. Within a bucket rows are numbered in order, and
 each batch takes as many as the budget holds at the bucket's bound.
 
-The histogram has one entry for each length up to FINE; longer lengths share entries a 32nd of a power of two
-apart, so that it is bounded, and the choice is the best one with bounds among the entries.
+The histogram has one entry for each length that occurs, at every size of the input: it grows with the variety of lengths, not
+with the rows. The best last cut moves up with the length (cost has the quadrangle inequality), so that halving finds all of a round's
+in n log n steps.
 
 Cases: null and empty texts have the end token alone, length 1. Equal ids follow each other in any order. Texts longer than the budget
 get batches of their own. An empty table gives an empty result. Other columns are left out of account.
@@ -19,19 +20,12 @@ from pyspark.sql import functions as F
 
 from twoview.llm.base import map_chunks, ranked, written
 
-FINE = 2048
-
-
-def grid_length(length: F.Column) -> F.Column:
-    """The histogram entry, an upper bound, of a length."""
-    step = F.pow(F.lit(2.0), F.floor(F.log2(length.cast("double"))) - 5)
-    return F.when(length <= FINE, length).otherwise((F.ceil(length / step) * step).cast("bigint"))
-
 
 def best_bounds(length: np.ndarray, count: np.ndarray, total: np.ndarray, buckets: int) -> tuple[list[int], int]:
     """Upper bounds of at most so many buckets with the least padding, and that padding.
 
-    length: ascending entries; count, total: rows and true tokens of each. cost[i, j] is what entries i + 1 to j need at j's bound.
+    length: ascending entries; count, total: rows and true tokens of each. Entries i + 1 to j in one bucket cost what they need at
+    j's bound. Sums are of whole numbers, exact up to 2**53.
     """
     n = len(length)
     c, t = np.append(0, np.cumsum(count)).astype(float), np.append(0, np.cumsum(total)).astype(float)
@@ -41,10 +35,17 @@ def best_bounds(length: np.ndarray, count: np.ndarray, total: np.ndarray, bucket
     for _ in range(min(buckets, n)):
         new, back = np.full(n + 1, np.inf), np.zeros(n + 1, np.int64)
         new[0] = 0
-        for j in range(1, n + 1):
-            cost = best[:j] + length[j - 1] * (c[j] - c[:j]) - (t[j] - t[:j])
-            back[j] = int(np.argmin(cost))
-            new[j] = cost[back[j]]
+        todo = [(1, n, 0, n - 1)]
+        while todo:
+            a, b, lo, hi = todo.pop()
+            if a > b:
+                continue
+            j = (a + b) // 2
+            top = min(hi, j - 1) + 1
+            cost = best[lo:top] + length[j - 1] * (c[j] - c[lo:top]) - (t[j] - t[lo:top])
+            at = lo + int(np.argmin(cost))
+            back[j], new[j] = at, cost[at - lo]
+            todo += [(a, j - 1, lo, at if np.isfinite(new[j]) else hi), (j + 1, b, at if np.isfinite(new[j]) else lo, hi)]
         best = new
         came.append(back)
     bounds, j = [], n
@@ -60,12 +61,11 @@ def pack(lengths: DataFrame, *, buckets: int = 16, budget: int = 16_384, order:
 
     The bounds are the best for all rows. A batch at bound b holds max(1, budget // b) rows.
     """
-    hist = (
-        lengths.groupBy(grid_length(F.col("n_tokens")).alias("length")).agg(F.count("*").alias("n"), F.sum("n_tokens").alias("total")).orderBy("length").collect()
-    )  # bounded by the grid
-    if not hist:
+    hist = lengths.groupBy(F.col("n_tokens").alias("length")).agg(F.count("*").alias("n")).toArrow().sort_by("length")  # a row a length that occurs
+    if not hist.num_rows:
         return lengths.select("doc_id", "n_tokens").withColumns({c: F.lit(0).cast(k) for c, k in (("bucket", "int"), ("pad_to", "bigint"), ("batch", "bigint"), ("place", "int"))})
-    bounds, _ = best_bounds(np.array([r.length for r in hist]), np.array([r.n for r in hist]), np.array([r.total for r in hist]), buckets)
+    length, n = hist["length"].to_numpy(), hist["n"].to_numpy()
+    bounds, _ = best_bounds(length, n, n * length, buckets)
     which = F.lit(len(bounds) - 1)
     for k in range(len(bounds) - 2, -1, -1):
         which = F.when(F.col("n_tokens") <= bounds[k], k).otherwise(which)
