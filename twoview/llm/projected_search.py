@@ -9,7 +9,8 @@ with the probability asked for. A query first looks in its own cell, which gives
 then only in cells that the test leaves.
 
 Splits come from a bounded sample (max_sample rows, by a hash of all ids); every vector is indexed. A cell's rows
-are dealt to blocks of bounded size, queries to blocks likewise. Equal vectors of a block are kept once, with as
+are dealt to blocks of bounded size, and queries of like cells to blocks of their own; vectors go to those blocks of queries alone
+that one of the block's queries asks their cell for. Equal vectors of a block are kept once, with as
 many of their smallest ids as a query can take.
 
 Cases: vectors that are null, zero, without id, of another length than most, or hold null or non-finite components
@@ -209,14 +210,22 @@ def projected_search(vectors: DataFrame, is_query: Column, *, k: int = 20, dims:
     high = np.array([[r[f"h{d}"] for d in range(dims)] for r in stats])
     blocks = {r.cell: -(-r.n // cell_rows) for r in stats}
     n_blocks = F.create_map(*[v for c, b in blocks.items() for v in (F.lit(c), F.lit(b))])
-    q_blocks = max(1, -(-int(top.queries) // query_rows))
+    per_cell = {r.q_cell: r.n for r in placed.where("_q").groupBy("q_cell").agg(F.count("*").alias("n")).collect()}  # one row a cell, 4096 at most
+    first, many, blocks_used, room = {}, {}, 0, 0
+    for c, n_own in sorted(per_cell.items()):  # cells that follow each other lie close in the tree
+        if n_own > room:
+            first[c], many[c] = blocks_used, -(-n_own // query_rows)
+            blocks_used += many[c]
+            room = query_rows - n_own if many[c] == 1 else 0
+        else:
+            first[c], many[c] = blocks_used - 1, 1
+            room -= n_own
     where = ["cell", "block", "q_block"]
-    data = placed.select(
-        "cell", "vec_id", "x", F.pmod(F.xxhash64("vec_id", "row"), n_blocks[F.col("cell")]).alias("block"), F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1))).alias("q_block")
-    )
-    queries = placed.where("_q").select(
-        F.col("row").alias("query_row"), F.col("vec_id").alias("query_id"), F.col("x").alias("q"), "asked", "q_cell", F.pmod(F.xxhash64("row"), F.lit(q_blocks)).cast("int").alias("q_block")
-    )
+    none = F.create_map(F.lit(0).cast("bigint"), F.lit(0))
+    begin, parts = (F.create_map(*[v for c in table for v in (F.lit(c), F.lit(table[c]))]) if table else none for table in (first, many))
+    q_block = (begin[F.col("q_cell")] + F.pmod(F.xxhash64("row"), parts[F.col("q_cell")])).cast("int")
+    data = placed.select("cell", "vec_id", "x", F.pmod(F.xxhash64("vec_id", "row"), n_blocks[F.col("cell")]).alias("block"))
+    queries = placed.where("_q").select(F.col("row").alias("query_row"), F.col("vec_id").alias("query_id"), F.col("x").alias("q"), "asked", "q_cell", q_block.alias("q_block"))
 
     def search(left: pa.Table, right: pa.Table) -> pa.Table:
         names = [c.split()[0] for c in OUT.split(", ")]
@@ -230,7 +239,9 @@ def projected_search(vectors: DataFrame, is_query: Column, *, k: int = 20, dims:
 
     def run(asked: DataFrame) -> DataFrame:
         spread = asked.withColumn("block", F.explode(F.sequence(F.lit(0).cast("bigint"), n_blocks[F.col("cell")].cast("bigint") - 1)))
-        return spread.groupBy(*where).cogroup(data.groupBy(*where)).applyInArrow(search, OUT)
+        wanted = asked.select(F.col("cell").alias("_cell"), F.col("q_block").alias("_q_block")).distinct()
+        sent = data.join(wanted, F.col("cell") == F.col("_cell")).select("cell", "block", F.col("_q_block").alias("q_block"), "vec_id", "x")
+        return spread.groupBy(*where).cogroup(sent.groupBy(*where)).applyInArrow(search, OUT)
 
     home = run(queries.where(F.col("q_cell").isin(cells.tolist())).select("*", F.col("q_cell").alias("cell"), F.lit(float("-inf")).alias("bound")))
     per_block = home.withColumn("nth", F.row_number().over(Window.partitionBy("query_row").orderBy(F.desc("score"), "vec_id"))).where(F.col("nth") == k)
