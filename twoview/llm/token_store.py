@@ -1,9 +1,10 @@
 """Token ids in a binary store: each document's ids compressed by themselves with one shared dictionary.
 
-A store is a table of blocks, each a row: the dictionary's hash, the documents' ids, token counts, first token
-positions, byte offsets, and one blob of independent frames. A short document is read by its block's offsets
-and one small frame. Blocks follow each other in ascending doc_id, null first; the dictionary is a file beside
-them, trained on a bounded sample of serialized id arrays.
+A store is a table of blocks, each a row: its least and greatest doc_id, the dictionary's hash, the documents' ids, token counts,
+byte offsets, and one blob of independent frames. A document is read from the blocks whose ids span its own, which the
+files' statistics tell, and its frame alone is cut out. Parts are files, blocks follow each other in
+ascending doc_id, null first, within a file and over files by name; the dictionary is a file beside them, trained on a
+bounded sample of serialized id arrays.
 
 Texts are split at white space first and each distinct word is tokenized once while a task's cache holds it; the
 tokenizer never joins across white space, so the ids are those of whole texts.
@@ -33,7 +34,7 @@ from twoview.llm.text import Chunk, column_chunks, span_hashes
 CACHE_WORDS, YOUNG_WORDS = 1_200_000, 40_000
 BLOCK_BYTES = 1 << 20
 BLOCK = (
-    "part bigint, seq bigint, dict_sha256 string, doc_id array<bigint>, n_tokens array<bigint>, offset array<bigint>, blob binary, tokens bigint"
+    "part bigint, seq bigint, lo bigint, hi bigint, dict_sha256 string, doc_id array<bigint>, n_tokens array<bigint>, offset array<bigint>, blob binary, tokens bigint"
 )
 
 
@@ -215,18 +216,17 @@ class TokenStore:
                         names=["doc_id", "start", "n_tokens", "ids", "crc"],
                     )
 
-        ordered = self.blocks.repartition("part").sortWithinPartitions("part", "seq")
+        ordered = self.blocks.repartitionById(max(base, default=0) + 1, F.col("part").cast("int")).sortWithinPartitions("part", "seq")
         return ordered.mapInArrow(read, "doc_id bigint, start bigint, n_tokens bigint, ids binary, crc bigint")
 
     def get(self, doc_id: int) -> list[np.ndarray]:
         """Ids of a document, from the blocks whose index names it and from its own frames alone."""
-        rows = self.blocks.where(F.array_contains("doc_id", F.lit(doc_id).cast("bigint"))).collect()
-        out = []
-        for row in sorted(rows, key=lambda r: (r.part, r.seq)):
-            for i in (i for i, d in enumerate(row.doc_id) if d == doc_id):
-                frame = bytes(row.blob[row.offset[i] : row.offset[i + 1]])
-                out.append(np.frombuffer(_reader(self.dictionary).decompress(frame), "<u4"))
-        return out
+        near = self.blocks.where((F.col("lo") <= doc_id) & (F.col("hi") >= doc_id))
+        places = near.select("part", "seq", "offset", "blob", F.posexplode("doc_id").alias("nth", "id")).where(F.col("id") == doc_id)
+        a, b = F.get("offset", F.col("nth")), F.get("offset", F.col("nth") + 1)
+        frames = places.select("part", "seq", "nth", F.substring("blob", (a + 1).cast("int"), (b - a).cast("int")).alias("frame")).collect()
+        opened = _reader(self.dictionary)
+        return [np.frombuffer(opened.decompress(bytes(r.frame)), "<u4") for r in sorted(frames, key=lambda r: r[:3])]
 
 
 def _reader(dictionary: bytes) -> zstandard.ZstdDecompressor:
@@ -277,8 +277,9 @@ def write_store(docs: DataFrame, path: str, *, end_id: int, parts: int | None =
         def block() -> pa.RecordBatch:
             ids, counts, frames = [r[0] for r in rows], [r[1] for r in rows], [r[2] for r in rows]
             offset = [0, *np.cumsum([len(f) for f in frames]).tolist()]
-            values = [[part], [seq], [sha], [ids], [counts], [offset], [b"".join(frames)], [sum(counts)]]
-            kinds = [pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary(), pa.int64()]
+            known = [i for i in ids if i is not None]
+            values = [[part], [seq], [min(known, default=None)], [max(known, default=None)], [sha], [ids], [counts], [offset], [b"".join(frames)], [sum(counts)]]
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary(), pa.int64()]
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(values, kinds, strict=True)], names=[c.split()[0] for c in BLOCK.split(", ")])
 
         for batch in batches:
@@ -294,7 +295,8 @@ def write_store(docs: DataFrame, path: str, *, end_id: int, parts: int | None =
             yield block()
 
     frames = source.mapInArrow(encode, "doc_id bigint, part bigint, n bigint, frame binary")
-    blocks = frames.repartition("part").sortWithinPartitions("part", F.asc_nulls_first("doc_id")).mapInArrow(pack, BLOCK)
+    # a part is a partition and so a file, and their numbers ascend with doc_id
+    blocks = frames.repartitionById(len(cuts) + 1, F.col("part").cast("int")).sortWithinPartitions(F.asc_nulls_first("doc_id")).mapInArrow(pack, BLOCK)
     out = f"{shared_dir(spark).rstrip('/')}/twoview/dictionary-{uuid.uuid4().hex}"
     spark.createDataFrame([(hashlib.sha256(dictionary).hexdigest(), bytearray(dictionary))], "sha256 string, dictionary binary").coalesce(1).write.parquet(out)
     return TokenStore(written(blocks, "tokens", compression="none"), bytes(spark.read.parquet(out).first().dictionary))
