@@ -87,7 +87,7 @@ def _blocks(bounds: np.ndarray, most: int = 1 << 20) -> list[tuple[int, int]]:
     return list(zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
 
 
-def train(texts: list[str], y: np.ndarray, *, dim: int = 8, folds: int = 4, seed: int = 3, **options: float) -> Model:
+def train(texts: list[str], y: np.ndarray, *, dim: int = 8, folds: int = 2, seed: int = 3, **options: float) -> Model:
     """Fit embeddings and softmax together to all texts, then scale them to document scores.
 
     The scale is cross-fitted: each fold's texts get the margins of a model of the other folds, and all these
