@@ -177,6 +177,27 @@ def test_graph(spark):
     assert abs(G.stationary(dead, symmetrize=False, max_iter=10).agg(F.sum("p")).first()[0] - 1) < 1e-9
 
 
+def test_true_graph_in_blocks(spark):
+    """Tiles of any size give brute force's graph, copies by id; distances are no lambdas over all pairs."""
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(90, 8))
+    x[20:50] = x[3]
+    ids = rng.permutation(90) * 3
+    v = spark.createDataFrame([(int(i), r.tolist()) for i, r in zip(ids, x, strict=True)], "vec_id bigint, embedding array<double>")
+    want = []
+    for i, r in zip(ids, x, strict=True):
+        d = ((x - r) ** 2).sum(1)
+        want += [(i, j) for j in ids[[o for o in np.lexsort((ids, d)) if ids[o] != i][:4]]]
+    for rows in (7, 16_384):
+        g = G.knn_graph_exact(v, 4, tile_rows=rows)
+        assert [(r.src, r.dst) for r in g.orderBy("src", "rk").collect()] == sorted(want, key=lambda e: e[0])
+        assert "zip_with" not in plan(g) and "lambdafunction" not in plan(g)
+    best = S.Nearest(ids, x, 4, exclude_self=True)
+    for a in range(0, 90, 11):
+        best.see(ids[a : a + 11], x[a : a + 11], rows=13, columns=5)
+    assert sorted(zip(*[c.tolist() for c in best.columns()[:2]], strict=True)) == sorted(want)
+
+
 def test_bad_vectors_are_set_aside(spark):
     df = spark.createDataFrame([(1, [1.0, 2.0]), (2, None), (3, [1.0]), (4, [1.0, float("nan")]), (5, [1.0, None])], "vec_id bigint, embedding array<double>")
     ok, bad = V.validate(df, 2)

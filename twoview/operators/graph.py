@@ -5,12 +5,14 @@ from __future__ import annotations
 import warnings
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from twoview.functions import expressions as E
 from twoview.operators.coarse import CoarseIndex, encode_cells, search_ivf_dealt
-from twoview.operators.vectors import doubles
+from twoview.operators.search import Nearest
+from twoview.operators.vectors import doubles, matrix
 
 
 def _top(edges: DataFrame, k: int) -> DataFrame:
@@ -18,14 +20,26 @@ def _top(edges: DataFrame, k: int) -> DataFrame:
     return edges.withColumn("rk", F.row_number().over(w)).where(F.col("rk") <= k).select("src", "dst", "rk", "dist")
 
 
-def knn_graph_exact(df: DataFrame, k: int, tiles: int = 4) -> DataFrame:
-    """The true graph (src, dst, rk, dist) of squared distances, from pairs of tiles joined by equality; for tests."""
-    v = df.select("vec_id", doubles().alias("x"), F.pmod(F.xxhash64("vec_id"), F.lit(tiles)).cast("int").alias("tile"))
+def knn_graph_exact(df: DataFrame, k: int, tile_rows: int = 16_384) -> DataFrame:
+    """The true graph (src, dst, rk, dist) of squared distances: all pairs, in tiles of about tile_rows by tile_rows.
+
+    Each pair of tiles meets in a task, which takes its distances from matrix products and sends on k rows a node.
+    """
+    v = df.select("vec_id", doubles().alias("x"))
+    tiles = max(4, -(-v.count() // tile_rows))
+    v = v.withColumn("tile", F.pmod(F.xxhash64("vec_id"), F.lit(tiles)).cast("int"))
     every = F.explode(F.sequence(F.lit(0), F.lit(tiles - 1)))
-    a = v.select(F.col("vec_id").alias("src"), F.col("x").alias("a"), F.col("tile").alias("ta"), every.alias("tb"))
-    b = v.select(F.col("vec_id").alias("dst"), F.col("x").alias("b"), F.col("tile").alias("tb"), every.alias("ta"))
-    pairs = a.join(b, ["ta", "tb"]).where("src <> dst")
-    return _top(pairs.select("src", "dst", E.l2sq(F.col("a"), F.col("b")).alias("dist")), k)
+    a = v.select("vec_id", "x", F.col("tile").alias("ta"), every.alias("tb"))
+    b = v.select("vec_id", "x", F.col("tile").alias("tb"), every.alias("ta"))
+
+    def meet(a: pa.Table, b: pa.Table) -> pa.Table:
+        best = Nearest(a["vec_id"].to_numpy(), matrix(a["x"]), k, exclude_self=True)
+        if a.num_rows and b.num_rows:
+            best.see(b["vec_id"].to_numpy(), matrix(b["x"]))
+        return pa.table(dict(zip(("src", "dst", "dist"), best.columns(), strict=True)))
+
+    near = a.groupBy("ta", "tb").cogroup(b.groupBy("ta", "tb")).applyInArrow(meet, "src bigint, dst bigint, dist double")
+    return _top(near, k)
 
 
 def knn_graph(df: DataFrame, index: CoarseIndex, k: int, n_probe: int, tau: int | None = None, side: str = "raw", **sizes: int) -> DataFrame:
