@@ -198,6 +198,36 @@ def test_true_graph_in_blocks(spark):
     assert sorted(zip(*[c.tolist() for c in best.columns()[:2]], strict=True)) == sorted(want)
 
 
+def test_scans_in_blocks(spark, world):
+    """Blocks over Arrow batches give the joins' results."""
+    s, _, m, _ = world
+    c, p = Q.encode(s.base, m).cache(), S.prepare_queries(s.query, m).cache()
+    for k in (3, 500):
+        assert rows(S.scan_knn(p, c, m, k)) == rows(S.adc_knn(p, c, m, k))
+        assert rows(S.scan_knn(p, c, m, k, "hamming")) == rows(S.hamming_knn(p, c, m, k))
+        assert rows(S.scan_knn(p, c, m, k, "mismatch")) == rows(S.mismatch_knn(p, c, m, k))
+        assert rows(S.scan_knn(p, c, m, k, tau=26)) == rows(S.two_stage_knn(p, c, m, k, 26))
+    assert S.scan_knn(p.limit(0), c, m, 3).isEmpty() and S.scan_knn(p, c.limit(0), m, 3).isEmpty()
+
+
+def test_correlations_in_blocks(spark, world):
+    """Moments of blocks are those of all pairs, equal values share a rank, and no pair becomes a row."""
+    s, _, m, _ = world
+    c, p = Q.encode(s.base, m), S.prepare_queries(s.query, m)
+    got = {r.estimator: r for r in R.correlations(p, s.query, c, s.base, m).collect()}
+    x, q = (V.collect_matrix(df)[1] for df in (s.base, s.query))
+    d2 = ((q[:, None] - x[None]) ** 2).sum(2)
+    own, codes = m.tables(q).reshape(len(q), 16, 16), m.encode(x)
+    adc = np.stack([own[:, i, codes[:, i]] for i in range(16)]).sum(0)
+    off = (m.encode(q)[:, None] != codes[None]).sum(2).astype(float)
+    for name, est in (("adc", adc), ("index_mismatch", off)):
+        assert abs(got[name].pearson - np.corrcoef(d2.ravel(), est.ravel())[0, 1]) < 1e-9
+        assert abs(got[name].spearman - np.corrcoef(R.mid_ranks(d2).ravel(), R.mid_ranks(est).ravel())[0, 1]) < 1e-9
+    assert R.mid_ranks(np.array([[2.0, 1.0, 2.0, 5.0]])).tolist() == [[1.5, 0.0, 1.5, 3.0]]
+    thin = R.correlations(p, s.query, c, s.base, m, ranks=False)
+    assert thin.columns == ["estimator", "pearson"] and "Window" not in plan(thin)
+
+
 def test_bad_vectors_are_set_aside(spark):
     df = spark.createDataFrame([(1, [1.0, 2.0]), (2, None), (3, [1.0]), (4, [1.0, float("nan")]), (5, [1.0, None])], "vec_id bigint, embedding array<double>")
     ok, bad = V.validate(df, 2)
