@@ -37,11 +37,12 @@ def ablation_grid(
     spark = split.base.sparkSession
     n_iter = n_iter or {}
     truth = S.exact_knn(split.query, split.base, 1).cache()
+    n_queries = split.query.count()
     rows: list[Row] = []
 
     def add(seed: int, construction: str, estimator: str, tau: int | None, make) -> None:
         rec = _recalls(make(), truth)
-        ms = 1000 * R.timed(make) / max(split.query.count(), 1) if timing else None
+        ms = 1000 * R.timed(make) / max(n_queries, 1) if timing else None
         rows.append((seed, construction, estimator, tau, rec[1], rec[10], rec[100], ms))
 
     for seed in seeds:
@@ -51,17 +52,17 @@ def ablation_grid(
             p, c = S.prepare_queries(split.query, model).cache(), Q.encode(split.base, model).cache()
             sample = S.prepare_queries(split.train, model)
             tau = C.calibrate_tau(sample, c, model, keep)
-            add(seed, construction, "hamming", None, lambda p=p, c=c, m=model: S.hamming_knn(p, c, m, k))
-            add(seed, construction, "two_stage", tau, lambda p=p, c=c, m=model, t=tau: S.two_stage_knn(p, c, m, k, t))
+            add(seed, construction, "hamming", None, lambda p=p, c=c, m=model: S.scan_knn(p, c, m, k, "hamming"))
+            add(seed, construction, "two_stage", tau, lambda p=p, c=c, m=model, t=tau: S.scan_knn(p, c, m, k, tau=t))
             if construction == "plain":
-                add(seed, construction, "adc", None, lambda p=p, c=c, m=model: S.adc_knn(p, c, m, k))
-                add(seed, construction, "index_mismatch", None, lambda p=p, c=c, m=model: S.mismatch_knn(p, c, m, k))
+                add(seed, construction, "adc", None, lambda p=p, c=c, m=model: S.scan_knn(p, c, m, k))
+                add(seed, construction, "index_mismatch", None, lambda p=p, c=c, m=model: S.scan_knn(p, c, m, k, "mismatch"))
             p.unpersist()
             c.unpersist()
         for name, bits in (("lsh", B.fit_sign_lsh(dims, M * b, seed)), ("itq", B.fit_itq(split.train, dims, M * b, seed=seed))):
             fake = CodeModel(B.bit_spec(bits), np.zeros((0, 0, 0)))
             q, c = B.encode_bits(split.query, bits, "q", "qid"), B.encode_bits(split.base, bits)
-            add(seed, name, "hamming", None, lambda q=q, c=c, m=fake: S.hamming_knn(q, c, m, k))
+            add(seed, name, "hamming", None, lambda q=q, c=c, m=fake: S.scan_knn(q, c, m, k, "hamming"))
     truth.unpersist()
     return spark.createDataFrame(rows, "seed int, construction string, estimator string, tau int, r1 double, r10 double, r100 double, ms double")
 
@@ -145,9 +146,9 @@ def pipeline_study(split: V.Split, dims: int, specs: list[str], b: int = 4, n_it
         base = V.apply_map(split.base, rotation) if rotation else split.base
         query = V.apply_map(split.query, rotation) if rotation else split.query
         if isinstance(got, I.CoarseIndex):
-            res = S.topk(I.search_ivf(I.probe_cells(query, got, max(1, got.n_cells // 4)), I.encode_cells(base, got), got, 100), 100)
+            res = I.search_ivf_dealt(query, I.encode_cells(base, got), got, 100, max(1, got.n_cells // 4))
         else:
-            res = S.adc_knn(S.prepare_queries(query, model), Q.encode(base, model), model, 100)
+            res = S.scan_knn(S.prepare_queries(query, model), Q.encode(base, model), model, 100)
         rec = _recalls(res, truth)
         rows.append((text, model.spec.code_bytes, rec[1], rec[10], rec[100]))
     truth.unpersist()
@@ -187,19 +188,23 @@ PREDICATES = (("en", "lang = 'en'"), ("long", "n_chars > 3000"), ("de_src1", "la
 
 def filtered_study(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
     """Filter before or after the search: share of the base left, and how much of the true filtered list is found."""
-    split = V.split(src.letters(spark, sf_dir))
+    letters = src.letters(spark, sf_dir).cache()  # texts are read once
+    split = V.split(letters)
     docs = src.read_table(spark, sf_dir, "documents")
     n = split.base.count()
+    every = S.exact_knn(split.query, split.base, 2 * k).cache()
     rows = []
     for name, cond in PREDICATES:
         ids = docs.where(cond).select(F.col("doc_id").alias("vec_id"))
         base = split.base.join(ids, "vec_id", "left_semi").cache()
         truth = S.exact_knn(split.query, base, k).cache()
-        post = S.exact_knn(split.query, split.base, 2 * k).join(ids, "vec_id", "left_semi")
+        post = every.join(ids, "vec_id", "left_semi")
         found = post.join(truth.select("qid", "vec_id"), ["qid", "vec_id"], "left_semi").count()
         rows.append((name, base.count() / max(n, 1), found / max(truth.count(), 1)))
         base.unpersist()
         truth.unpersist()
+    every.unpersist()
+    letters.unpersist()
     return spark.createDataFrame(rows, "predicate string, selectivity double, post_filter_recall double")
 
 
