@@ -28,5 +28,12 @@ def test_query(spark, con, name):
         assert differences(spark, con, fn, sql, D) is None
 
 
+def test_recursive_walk_reads_its_table(spark, tmp_path):
+    spark.createDataFrame([(2, 5), (2, 7), (5, 9), (9, 2), (11, 1)], "l_partkey bigint, l_suppkey bigint").write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = [tuple(r) for r in entry.queries()["recursive_walk"](spark, str(tmp_path)).orderBy("step").collect()]
+    assert got == [((2, 5, 9)[i % 3], i, 0.5**i) for i in range(9)]
+    spark.catalog.clearCache()
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
