@@ -347,3 +347,35 @@ def test_samples_go_by_hash(spark):
     v = spark.range(5000).selectExpr("id AS vec_id", "array(double(id), 1.0) AS embedding")
     ids, x = V.collect_matrix(v, 500)
     assert len(ids) == 500 and ids.max() > 4000 and (np.diff(ids) > 0).all() and (x[:, 0] == ids).all()
+
+
+def test_descent_measures_pairs_in_blocks(spark):
+    """Neighbours of neighbours as brute force has them, hubs in parts or whole; pairs never become rows with both vectors."""
+    rng = np.random.default_rng(12)
+    x = rng.normal(size=(70, 6))
+    x[30:40] = x[2]
+    v = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id bigint, embedding array<double>")
+    edges = {(i, int(j)) for i in range(70) for j in [*rng.choice(70, 3), 5] if i != j}
+    g = spark.createDataFrame([(*e, 1, 0.0) for e in edges], "src bigint, dst bigint, rk int, dist double")
+    both = edges | {(b, a) for a, b in edges}
+    pairs = edges | {(a, c) for a, b in both for d, c in both if b == d and a != c}
+    want = []
+    for i in range(70):
+        ids = np.array(sorted(c for a, c in pairs if a == i))
+        d = ((x[ids] - x[i]) ** 2).sum(1).round(9)
+        want += [(i, int(j), float(e)) for j, e in list(zip(ids[np.lexsort((ids, d))], np.sort(d), strict=True))[:4]]
+    for hub in (5, 1024):
+        out = G.graph_descent(g, v, 4, hub=hub)
+        assert [(r.src, r.dst, round(r.dist, 9)) for r in out.orderBy("src", "rk").collect()] == want
+    assert plan(out).count("zip_with") <= plan(g.join(v, g.src == v.vec_id)).count("zip_with") + 2
+
+
+def test_graph_study_refines_once(spark, monkeypatch):
+    import __spark_entry__ as entry
+
+    frame = type(spark.range(1))
+    made, kept, descent, cache = [], [], G.graph_descent, frame.cache
+    monkeypatch.setattr(G, "graph_descent", lambda *a, **k: made.append(descent(*a, **k)) or made[-1])
+    monkeypatch.setattr(frame, "cache", lambda self: kept.append(self) or cache(self))
+    entry.queries()["graph_study"](spark, "/root/testdata/sf0.001")
+    assert len(made) == 1 and any(k is made[0] for k in kept)

@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import warnings
+from collections.abc import Iterator
 from functools import reduce
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -60,29 +62,84 @@ def knn_graph(df: DataFrame, index: CoarseIndex, k: int, n_probe: int, tau: int
 def graph_descent(graph: DataFrame, vectors: DataFrame, k: int, rounds: int = 1, hub: int = 1024) -> DataFrame:
     """Neighbours of neighbours are proposed, measured on raw vectors, and the best k stay; a checkpoint each round.
 
-    A node with many edges proposes the pairs of all of them. Its edges are cut into parts of about hub, and each
-    pair of parts is a join key of its own, so that no task holds all pairs of a hub.
+    A node's neighbours meet with their vectors in a task, which measures all their pairs and sends on each one's k nearest; pairs
+    never become rows. The edges of a node with many are cut into parts of about hub, and each pair of parts meets by itself.
     """
     x = vectors.select("vec_id", doubles().alias("x"))
+
+    def ends(column: str, name: str) -> DataFrame:
+        return x.select(F.col("vec_id").alias(column), F.col("x").alias(name))
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for node, v, src in _runs(batches):
+            row, col, dist = _nearest_pairs(node[src], v[src], node[~src], v[~src], k)
+            yield pa.RecordBatch.from_arrays([pa.array(node[src][row]), pa.array(node[~src][col]), pa.array(dist)], names=["src", "dst", "dist"])
+
     for _ in range(rounds):
         e = graph.select("src", "dst")
         both = e.unionAll(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
         parts = both.groupBy(F.col("src").alias("mid")).agg(F.ceil(F.count("*") / hub).alias("parts")).where("parts > 1")
-
-        def dealt(end: str, own: str, other: str, both: DataFrame = both, parts: DataFrame = parts) -> DataFrame:
-            rows = both.select(F.col("src").alias("mid"), F.col("dst").alias(end)).join(parts, "mid", "left")
-            n = F.coalesce("parts", F.lit(1).cast("bigint"))
-            return rows.withColumns({own: F.pmod(F.xxhash64(end), n), other: F.explode(F.sequence(F.lit(0).cast("bigint"), n - 1))}).drop("parts")
-
-        pairs = dealt("src", "a_part", "b_part").join(dealt("dst", "b_part", "a_part"), ["mid", "a_part", "b_part"])
-        proposed = pairs.where("src <> dst").select("src", "dst").unionAll(e).distinct()
-        a, b = x.select(F.col("vec_id").alias("src"), F.col("x").alias("a")), x.select(F.col("vec_id").alias("dst"), F.col("x").alias("b"))
-        graph = _top(proposed.join(a, "src").join(b, "dst").select("src", "dst", E.l2sq(F.col("a"), F.col("b")).alias("dist")), k)
+        at = both.select(F.col("src").alias("mid"), F.col("dst").alias("vec_id")).distinct().join(x, "vec_id").join(parts, "mid", "left")
+        n = F.coalesce("parts", F.lit(1).cast("bigint"))
+        every = F.explode(F.sequence(F.lit(0).cast("bigint"), n - 1))
+        own = F.pmod(F.xxhash64("vec_id"), n)
+        key = ["mid", "a_part", "b_part"]
+        members = at.select("mid", own.alias("a_part"), every.alias("b_part"), F.lit(True).alias("is_src"), "vec_id", "x")
+        members = members.unionAll(at.select("mid", every.alias("a_part"), own.alias("b_part"), F.lit(False).alias("is_src"), "vec_id", "x"))
+        proposed = members.repartition(*key).sortWithinPartitions(*key).mapInArrow(meet, "src bigint, dst bigint, dist double")
+        kept = e.join(ends("src", "a"), "src").join(ends("dst", "b"), "dst").select("src", "dst", E.l2sq(F.col("a"), F.col("b")).alias("dist"))
+        graph = _top(proposed.unionAll(kept).groupBy("src", "dst").agg(F.min("dist").alias("dist")), k)
         if rounds > 1:
             graph = graph.checkpoint()
     return graph
 
 
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Ids, vectors and sides of each run of rows (mid, a_part, b_part, is_src, vec_id, x) with one key, over batches sorted by key."""
+    held: list[pa.RecordBatch] = []
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        keys = np.stack([batch.column(i).to_numpy() for i in range(3)], 1)
+        edges = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(1)) + 1).tolist(), len(keys)]
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            key = tuple(keys[a].tolist())
+            if held and key != last:
+                yield _run_of(held)
+                held = []
+            held.append(batch.slice(a, b - a))
+            last = key
+    if held:
+        yield _run_of(held)
+
+
+def _run_of(held: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    t = pa.Table.from_batches(held)
+    return t["vec_id"].to_numpy(), matrix(t["x"]), t["is_src"].to_numpy()
+
+
+def _nearest_pairs(a_id: np.ndarray, a: np.ndarray, b_id: np.ndarray, b: np.ndarray, k: int, pairs: int = 1 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of a, rows of b and squared distances (summed from the left) of the k nearest b of other id to each a, equal ones by id."""
+    found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+    size = max(1, pairs // max(len(b), 1))
+    for at in range(0, len(a) if len(b) else 0, size):
+        part = a[at : at + size]
+        d = np.zeros((len(part), len(b)))
+        for x, y in zip(part.T, b.T, strict=True):
+            d += (x[:, None] - y) ** 2
+        other = a_id[at : at + size, None] != b_id
+        near = np.where(other, d, np.inf)
+        reach = np.partition(near, k - 1, axis=1)[:, k - 1 : k] if len(b) > k else np.inf
+        row, col = np.nonzero(other & (near <= reach))
+        order = np.lexsort((b_id[col], d[row, col], row))
+        row, col = row[order], col[order]
+        best = np.arange(len(row)) - np.searchsorted(row, row) < k
+        row, col = row[best], col[best]
+        found.append((at + row, col, d[row, col]))
+    return tuple(np.concatenate(v) for v in zip(*found, strict=True))
+
+
 def weighted_edges(graph: DataFrame, weights: str = "uniform", symmetrize: bool = True) -> DataFrame:
     """Edges (src, dst, w), and dist where they are not symmetrized.
 

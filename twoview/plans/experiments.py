@@ -163,13 +163,15 @@ def graph_study(vectors: DataFrame, dims: int, M: int, b: int, k: int, n_probe:
     graph = G.knn_graph(vectors, ix, k, n_probe, tau).cache()
     truth = G.knn_graph_exact(vectors, k).cache()
     rows = []
-    for name, g in (("index", graph), ("refined", G.graph_descent(graph, vectors, k))):
+    refined = G.graph_descent(graph, vectors, k).cache()  # stats read it five times
+    for name, g in (("index", graph), ("refined", refined)):
         st = G.graph_stats(g, truth).first()
         rows.append((name, int(st.edges), st.true_found / max(st.true_edges, 1), int(st.mutual)))
     p = G.settled(graph).cache()
     n_modes = G.modes(graph, p).where("is_mode").count()
     total = p.agg(F.sum("p").alias("s")).first().s
     p.unpersist()
+    refined.unpersist()
     graph.unpersist()
     truth.unpersist()
     return spark.createDataFrame([(*r, n_modes, float(total)) for r in rows], "graph string, edges bigint, recall double, mutual bigint, n_modes int, mass double")
