@@ -196,3 +196,34 @@ def test_scores_match_brute_force(spark, monkeypatch):
             c = v.of[line[at + 1]]
             total += np.log((after[c, x] * (v.of[x] >= L.OWN) + 10 * np.exp(v.share[x])) / (whole[c, v.of[x]] * (v.of[x] >= L.OWN) + 10))
         assert abs(got[i] - total / np.log(10)) < 1e-3 * max(1, len(t) / 20), (i, got[i], total / np.log(10))
+
+
+def test_all_windows_of_all_texts_are_fitted_to(spark, monkeypatch):
+    rng = np.random.default_rng(11)
+    words = "river stone cloud ember grain mill and the of a".split()
+    texts = [" ".join(rng.choice(words, n)) for n in rng.integers(0, 400, 40)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    seen, refine = [], L._refined
+
+    def watched(lines, *a, **k):
+        rows = lines.collect()
+        seen.extend((r.key, r.classes, r.every) for r in rows)
+        return refine(lines, *a, **k)
+
+    monkeypatch.setattr(L, "_refined", watched)
+    L.language_model_scores(docs, F.lit(True), PATH, steps=1).count()
+    assert len(seen) == 40 and {every for *_, every in seen} == {1}
+
+    v = L.make_vocabulary(rng.integers(0, 50, 1000), rng.integers(0, 999, 5000), rng)
+    lines = [rng.integers(0, 999, 600).tolist() for _ in range(8)]
+    w = L.Weights.fresh(rng)
+
+    def refined(lines):
+        return L._refined(L._followed(_keyed(spark, lines), v, 1).where("block is null"), len(lines), w).flat()
+
+    monkeypatch.setitem(globals(), "_keyed", lambda spark, texts: _rows(spark, texts).withColumn("key", F.length("ids").cast("long")))
+    lines = [line[: 600 - i] for i, line in enumerate(lines)]  # keys stay as they are when a token changes
+    before = refined(lines)
+    for at in range(14, 590, 28):  # a token of any window counts
+        changed = [*lines[3][:at], next(x for x in range(999) if v.of[x] != v.of[lines[3][at]]), *lines[3][at + 1 :]]
+        assert not np.array_equal(refined([*lines[:3], changed, *lines[4:]]), before), at
