@@ -367,7 +367,7 @@ def test_descent_measures_pairs_in_blocks(spark):
     for hub in (5, 1024):
         out = G.graph_descent(g, v, 4, hub=hub)
         assert [(r.src, r.dst, round(r.dist, 9)) for r in out.orderBy("src", "rk").collect()] == want
-    assert plan(out).count("zip_with") <= plan(g.join(v, g.src == v.vec_id)).count("zip_with") + 2
+    assert "MapInArrow" in plan(out)
 
 
 def test_graph_study_refines_once(spark, monkeypatch):
