@@ -227,3 +227,53 @@ def test_all_windows_of_all_texts_are_fitted_to(spark, monkeypatch):
     for at in range(14, 590, 28):  # a token of any window counts
         changed = [*lines[3][:at], next(x for x in range(999) if v.of[x] != v.of[lines[3][at]]), *lines[3][at + 1 :]]
         assert not np.array_equal(refined([*lines[:3], changed, *lines[4:]]), before), at
+
+
+def test_keys_are_found():
+    rng = np.random.default_rng(12)
+    ends = np.iinfo(np.int64)
+    for keys in ([], [5], [ends.min, -1, 0, ends.max], rng.integers(ends.min, ends.max, 5000), rng.integers(0, 900, 300)):
+        keys = np.unique(np.array(keys, np.int64))
+        h = np.concatenate([keys, keys[:-1] + 1, rng.integers(ends.min, ends.max, 500), [ends.min, ends.max, 0]])
+        at, known = L.Keys(keys).find(h)
+        assert known.tolist() == np.isin(h, keys).tolist() and (keys[at[known]] == h[known]).all()
+
+
+def test_only_places_in_use_are_taken_to_logits():
+    rng = np.random.default_rng(13)
+    w = L.Weights.fresh(rng)
+    w.p = {k: v.astype(np.float64) for k, v in w.p.items()}
+    now, last, target = (rng.integers(0, L.CLASSES, (6, L.WINDOW)) for _ in range(3))
+    use = rng.random((6, L.WINDOW)) < 0.5
+    use[2] = False
+    loss, g = L.gradient(w, now, last, target, use)
+    logits = L.forward(w, now, last)["logits"]
+    want = np.log(np.exp(logits).sum(1)) - logits[np.arange(len(logits)), target.ravel()]
+    assert abs(loss - want[use.ravel()].mean()) < 1e-9
+    chance = np.exp(logits) / np.exp(logits).sum(1, keepdims=True)
+    chance[np.arange(len(logits)), target.ravel()] -= 1
+    assert np.allclose(g["bias"], chance[use.ravel()].sum(0) / use.sum(), atol=1e-9)
+    parts = [L.gradient(w, *(x[k : k + 1] for x in (now, last, target, use))) for k in range(6)]  # windows by themselves
+    for name in g:
+        whole = sum(part[name] * use[k].sum() for k, (_, part) in enumerate(parts)) / use.sum()
+        assert np.allclose(g[name], whole, atol=1e-7), name
+    loss, g = L.gradient(w, now, last, target, np.zeros_like(use))
+    assert loss == 0 and all((x == 0).all() for x in g.values())
+    w.p["bias"][3] = 2000.0  # beyond what exp takes
+    with np.errstate(over="ignore"):
+        loss, g = L.gradient(w, now, last, target, use)
+    assert np.isfinite(loss) and all(np.isfinite(x).all() for x in g.values())
+
+
+def test_logits_of_unused_places_are_not_computed(monkeypatch):
+    rng = np.random.default_rng(14)
+    w, bounds = L.Weights.fresh(rng), np.append(0, np.cumsum([100] * 40))
+    classes, rows = rng.integers(0, L.CLASSES, bounds[-1]), []
+    exp = np.exp
+    monkeypatch.setattr(L.np, "exp", lambda x, **k: rows.append(len(x)) or exp(x, **k) if x.ndim == 2 and x.shape[1] == L.CLASSES else exp(x, **k))
+    L.log_chances(w, classes, bounds, 5)
+    before, earlier, target, use, _ = L.windows_of(classes, bounds, 5)
+    assert sum(rows) == len(classes) < before.size
+    rows.clear()
+    L.gradient(w, before, earlier, target, use)
+    assert sum(rows) == len(classes)
