@@ -13,7 +13,7 @@ from twoview.operators import measure as R
 from twoview.operators import quantize as Q
 from twoview.operators import search as S
 from twoview.operators import vectors as V
-from twoview.operators.model import ModelSpec
+from twoview.operators.model import ModelSpec, pack_words
 from twoview.sources import vectors as src
 
 D = "/root/testdata/sf0.001"
@@ -379,3 +379,92 @@ def test_graph_study_refines_once(spark, monkeypatch):
     monkeypatch.setattr(frame, "cache", lambda self: kept.append(self) or cache(self))
     entry.queries()["graph_study"](spark, "/root/testdata/sf0.001")
     assert len(made) == 1 and any(k is made[0] for k in kept)
+
+
+def test_scans_send_the_smaller_side(spark, world, monkeypatch):
+    """Tables of many queries stay in their tasks: codes are sent to them, in chunks; few queries are sent to the codes. Results are the joins'."""
+    s, _, m, _ = world
+    c, p = Q.encode(s.base, m).cache(), S.prepare_queries(s.query, m).cache()
+    sent, broadcast = [], type(spark.sparkContext).broadcast
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, v: sent.append(v) or broadcast(self, v))
+    monkeypatch.setattr(S, "BROADCAST_BYTES", 3000)
+    S.scan_knn(p, c, m, 4)
+    assert len(sent) > 1 and sum(len(v[0]) for v in sent) == c.count() and all(v[1].shape[1] == m.spec.n_words for v in sent)
+    sent.clear()
+    few = p.where("qid < 20")
+    assert S.scan_knn(few, c, m, 4).count() == 8 and sum(t.num_rows for t in sent) == 2
+    for asked in (p, few):
+        assert rows(S.scan_knn(asked, c, m, 4)) == rows(S.adc_knn(asked, c, m, 4))
+        assert rows(S.scan_knn(asked, c, m, 4, "hamming")) == rows(S.hamming_knn(asked, c, m, 4))
+        assert rows(S.scan_knn(asked, c, m, 4, tau=24)) == rows(S.two_stage_knn(asked, c, m, 4, 24))
+
+
+def test_codes_seen_in_any_order(spark):
+    """Blocks of any size and order give brute force's lists, ties by id, for numbers of any bits."""
+    rng = np.random.default_rng(7)
+    for M, b in ((16, 8), (12, 5), (40, 8)):
+        spec = ModelSpec(M, M, b)
+        numbers, own = rng.integers(0, 4, (300, M)), rng.integers(0, 4, (6, M))
+        numbers[50:150] = numbers[7]
+        ids, words, asked = rng.permutation(300) * 2, pack_words(numbers, spec), pack_words(own, spec)
+        lut = rng.integers(0, 9, (6, M * spec.K)).astype(float)
+        bits = np.bitwise_count(numbers[None] ^ own[:, None]).sum(2)
+        sums = np.stack([lut[:, m * spec.K + numbers[:, m]] for m in range(M)]).sum(0)
+        for by, tau, want in (("hamming", None, bits), ("mismatch", None, (numbers[None] != own[:, None]).sum(2)), ("adc", None, sums), ("adc", M - 1, np.where(bits < M, sums, np.inf))):
+            for order in (np.argsort(ids), np.arange(300)):
+                best = S.Scanned(np.arange(6), asked, lut, spec, 20, by, tau)
+                for a in range(0, 300, 90):
+                    best.see(ids[order[a : a + 90]], words[order[a : a + 90]], rows=40)
+                got = best.batch().to_pylist()
+                for j in range(6):
+                    near = [i for i in np.lexsort((ids, want[j])) if np.isfinite(want[j][i])][:20]
+                    assert [(r["vec_id"], r["score"]) for r in got if r["qid"] == j] == [(ids[i], want[j][i]) for i in near]
+
+
+def test_histogram_of_blocks():
+    rng = np.random.default_rng(1)
+    for bits, n in ((128, 301), (128, 20), (320, 301)):
+        x, y = (rng.integers(0, 2, (rows, bits)) for rows in (n, 303))
+        a, b = (pack_words(v, ModelSpec(bits, bits, 1)).view(np.uint64) for v in (x, y))
+        want = np.bincount((x[:, None] != y[None]).sum(2).ravel(), minlength=bits + 1)
+        assert C.histogram([np.ascontiguousarray(w) for w in a.T], b, bits).tolist() == want.tolist()
+
+
+def test_nearest_centroids_in_blocks():
+    rng = np.random.default_rng(2)
+    x, c = rng.normal(size=(100, 4)), rng.normal(size=(9, 4))
+    d = ((x[:, None] - c[None]) ** 2).sum(2)
+    near, least = Q._nearest(x, c, rows=33)
+    assert near.tolist() == d.argmin(1).tolist() and np.allclose(least + (x * x).sum(1), d.min(1))
+
+
+def test_ablation_keeps_no_tables(spark, monkeypatch):
+    """Look-up tables, M * K numbers a query, are neither kept nor dealt out; the true neighbours are sent to the lists."""
+    from twoview.plans import experiments as X
+
+    frame, kept, asked = type(spark.range(1)), [], []
+    cache, recall = frame.cache, R.recall_at
+    monkeypatch.setattr(frame, "cache", lambda self: kept.append(self.columns) or cache(self))
+    monkeypatch.setattr(R, "recall_at", lambda got, truth: asked.append(plan(got)) or recall(got, truth))
+    X.ablation_grid(V.split(src.emb(spark, D)), 64, 16, 4, constructions=("plain",), seeds=(1,))
+    assert kept and not any("lut" in columns for columns in kept)
+    assert len(asked) == 6 and all("BroadcastHashJoin" in text for text in asked)
+
+
+def test_words_are_counted_where_texts_are(spark, tmp_path, monkeypatch):
+    """The bags that plain expressions give, of odd texts and repeated ids, with one exchange and no row a word."""
+    texts = [(1, ""), (2, "  a  B "), (3, None), (4, "É a\tb a"), (1, "a a"), (None, "x y"), (None, "y z"), (6, "a" * 10 + " " + "b " * 3000), (7, " ")]
+    spark.createDataFrame(texts, "doc_id bigint, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    w = spark.createDataFrame(texts, "vec_id bigint, text string").select("vec_id", F.explode(F.split(F.lower("text"), " ")).alias("w"))
+    h = F.md5("w")
+    signs = w.select("vec_id", (F.conv(F.substring(h, 1, 4), 16, 10).cast("int") % 64).alias("d"), F.when(F.substring(h, 5, 1) >= "8", -1.0).otherwise(1.0).alias("s"))
+    want = {}
+    for r in signs.groupBy("vec_id", "d").agg(F.sum("s").alias("v")).collect():
+        want.setdefault(r.vec_id, np.zeros(64))[r.d] = r.v
+    for piece in (4 << 20, 5):
+        monkeypatch.setattr(src, "PIECE", piece)
+        df = src.words(spark, str(tmp_path))
+        got = {r.vec_id: r.embedding for r in df.collect()}
+        assert got.keys() == want.keys() and all(got[k] == (v / max(np.sqrt(v @ v), 1e-300)).tolist() for k, v in want.items())
+    text = plan(src.words(spark, str(tmp_path)))
+    assert "Generate" not in text and text.count("Exchange") == 1
